@@ -2,11 +2,13 @@
 
 from __future__ import annotations
 
-from seedrank.llm import quality
+from seedrank.llm import decontam, quality
 
 QUERIES = {
     "op1_quality_rules": quality.op1_quality,
+    "op6_decontaminate": decontam.op6_decontam,
 }
 ORACLES = {
     "op1_quality_rules": quality.OP1_SQL,
+    "op6_decontaminate": decontam.OP6_SQL,
 }
