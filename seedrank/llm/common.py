@@ -2,9 +2,12 @@
 
 from __future__ import annotations
 
+import os
+import shutil
 import tempfile
 import uuid
 from collections.abc import Callable
+from pathlib import Path
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -47,6 +50,23 @@ def written(df: DataFrame, *partition_by: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+_shipped: set[str] = set()
+
+
+def ship(spark: SparkSession) -> None:
+    """Send this package to the executors' Python workers, once for each Spark application."""
+    context = spark.sparkContext
+    if context.applicationId in _shipped:
+        return
+    package = Path(__file__).resolve().parent.parent
+    with tempfile.TemporaryDirectory() as folder:
+        staged = Path(folder, "src", package.name)
+        shutil.copytree(package, staged, ignore=shutil.ignore_patterns("__pycache__"))
+        name = shutil.make_archive(os.path.join(tempfile.mkdtemp(), package.name), "zip", staged.parent)
+    context.addPyFile(name)
+    _shipped.add(context.applicationId)
+
+
 def let(value: Column, body: Callable[[Column], Column]) -> Column:
     """``body`` applied to ``value``, which is evaluated once however often the body uses it."""
     return F.element_at(F.transform(F.array(value), body), 1)

@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from seedrank.llm import decontam, quality
+from seedrank.llm import decontam, packing, quality
 
 QUERIES = {
     "op1_quality_rules": quality.op1_quality,
+    "op5_pack_sequences": packing.op5_packing,
     "op6_decontaminate": decontam.op6_decontam,
 }
 ORACLES = {
