@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
-from seedrank.llm import decontam, packing, quality
+from seedrank.llm import decontam, packing, quality, secrets
 
 QUERIES = {
     "op1_quality_rules": quality.op1_quality,
     "op5_pack_sequences": packing.op5_packing,
     "op6_decontaminate": decontam.op6_decontam,
+    "op9_secrets": secrets.op9_secrets,
 }
 ORACLES = {
     "op1_quality_rules": quality.OP1_SQL,
