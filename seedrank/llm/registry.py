@@ -2,10 +2,11 @@
 
 from __future__ import annotations
 
-from seedrank.llm import decontam, packing, quality, secrets
+from seedrank.llm import decontam, neardup, packing, quality, secrets
 
 QUERIES = {
     "op1_quality_rules": quality.op1_quality,
+    "op4_near_duplicates": neardup.op4_near_duplicates,
     "op5_pack_sequences": packing.op5_packing,
     "op6_decontaminate": decontam.op6_decontam,
     "op9_secrets": secrets.op9_secrets,
