@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
-from seedrank.llm import decontam, neardup, packing, quality, secrets
+from seedrank.llm import decontam, language, neardup, packing, quality, secrets, sharding
 
 QUERIES = {
     "op1_quality_rules": quality.op1_quality,
+    "op2_language": language.op2_language,
+    "op3_shard_groups": sharding.op3_sharding,
     "op4_near_duplicates": neardup.op4_near_duplicates,
     "op5_pack_sequences": packing.op5_packing,
     "op6_decontaminate": decontam.op6_decontam,
