@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from seedrank.llm import decontam, language, neardup, packing, quality, secrets, sharding
+from seedrank.llm import chat, decontam, html, language, neardup, packing, quality, secrets, sharding
 
 QUERIES = {
     "op1_quality_rules": quality.op1_quality,
@@ -11,6 +11,8 @@ QUERIES = {
     "op4_near_duplicates": neardup.op4_near_duplicates,
     "op5_pack_sequences": packing.op5_packing,
     "op6_decontaminate": decontam.op6_decontam,
+    "op7_html_text": html.op7_html,
+    "op8_chat_format": chat.op8_chat,
     "op9_secrets": secrets.op9_secrets,
 }
 ORACLES = {
