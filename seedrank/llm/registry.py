@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from seedrank.llm import chat, decontam, html, language, neardup, packing, quality, secrets, sharding
+from seedrank.llm import chat, decontam, html, language, lm, neardup, packing, quality, secrets, sharding
 
 QUERIES = {
     "op1_quality_rules": quality.op1_quality,
@@ -14,8 +14,10 @@ QUERIES = {
     "op7_html_text": html.op7_html,
     "op8_chat_format": chat.op8_chat,
     "op9_secrets": secrets.op9_secrets,
+    "op10_lm_scores": lm.op10_lm,
 }
 ORACLES = {
     "op1_quality_rules": quality.OP1_SQL,
     "op6_decontaminate": decontam.OP6_SQL,
+    "op10_lm_scores": lm.OP10_SQL,
 }
