@@ -3,12 +3,16 @@
 ``S(w | u) = c(uw) / c(u)`` where the corpus has the n-gram ``uw`` often enough, else ``BACKOFF`` times the
 score with the context shortened by its first word; a single word scores ``c(w) / N``.
 
-The relation of n-grams is kept in blocks.  A block is a bounded number of whole documents with their
-words as codes into the block's own dictionary.  It sends each distinct n-gram with its count once, dealt
-to partitions by hash; there the counts are summed into the n-gram table and the sums joined back
-to every block that asked.  The block then scores the n-grams of its documents, and the scores are
-summed for each document.  A frequent n-gram is thus one entry a block, not one a document, and no
-partition gets more than ``BUCKET_ENTRIES`` entries on average.
+The relation of n-grams is kept in blocks.  A block is a bounded number of whole documents, one after
+the other.  It sends each distinct n-gram with its count once, dealt to partitions by hash; there the
+counts are summed into the n-gram table and the sums joined back to every block that asked.  The block
+then scores the n-grams of its documents, and the scores are summed for each document.  A frequent
+n-gram is thus one entry a block, not one a document, and no partition gets more than
+``BUCKET_ENTRIES`` entries on average.
+
+The documents are read twice, once to ask and once to score, as that is cheaper than to keep their
+blocks on disk meanwhile.  Both readings must cut the same blocks, which a scan of files does; a block
+that gets an unlike number of answers raises an error.
 
 Defined results: null, empty and blank texts have no words and score 0; a text's first words have
 shorter contexts; repeated rows count each time and get a row each; an empty table gives no rows;
@@ -21,91 +25,71 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from seedrank.llm.arrow import list_parts, window_hashes
-from seedrank.llm.common import hashed_words, ship, table, written
+from seedrank.llm.common import hashed_words, ship, table, words_of
 
 ORDER = 3
 BACKOFF = 0.4
 #: n-grams of two words and more that the corpus has fewer times are not in the table.
 MIN_COUNT = 2
 #: Words in a block and entries in a bucket, about.
-BLOCK_WORDS = 1_000_000
-BUCKET_ENTRIES = 4_000_000
+BLOCK_WORDS = 2_000_000
+BUCKET_ENTRIES = 2_000_000
 
-_BLOCK = "block long, doc_id long, n_words int, dictionary binary, codes binary"
 
+class _Block:
+    """Some documents: their ids, numbers of words, and words in a row."""
 
-def blocks(docs: DataFrame, doc_id: str = "doc_id", text: str = "text", block_words: int = BLOCK_WORDS) -> DataFrame:
-    """A row for each document and, with a null ``n_words``, one for each block's dictionary of word hashes."""
-    ship(docs.sparkSession)
+    def __init__(self, ids: pa.Array, sizes: np.ndarray, words: np.ndarray):
+        self.ids, self.sizes, self.words = ids, sizes, words
+        self.starts = np.cumsum(sizes) - sizes
+        # how many words of the same document stand before each word
+        self.before = np.arange(len(words)) - np.repeat(self.starts, sizes)
 
-    def coded(number: int, ids: list[pa.Array], words: list[np.ndarray], lengths: list[np.ndarray]) -> pa.RecordBatch:
-        known, codes = np.unique(np.concatenate(words), return_inverse=True)
-        codes, sizes = codes.astype("<u4"), np.concatenate(lengths)
-        ends = np.concatenate([[0], np.cumsum(sizes)])
-        parts = [None, *(codes[a:b].tobytes() for a, b in zip(ends[:-1], ends[1:], strict=True))]
-        n = len(sizes)
-        columns = [pa.array(np.full(n + 1, number, np.int64)), pa.chunked_array([pa.nulls(1, pa.int64()), *ids]).combine_chunks(), pa.array([None, *sizes.tolist()], pa.int32()), pa.array([known.tobytes(), *[None] * n], pa.binary()), pa.array(parts, pa.binary())]
-        return pa.RecordBatch.from_arrays([c.chunk(0) if isinstance(c, pa.ChunkedArray) else c for c in columns], ["block", "doc_id", "n_words", "dictionary", "codes"])
+    def grams(self, n: int) -> tuple[np.ndarray, np.ndarray]:
+        """Hashes of the n-grams, and the positions of their last words."""
+        inside = self.before[n - 1 :] >= n - 1
+        return window_hashes(self.words, n)[inside], np.arange(n - 1, len(self.words))[inside]
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        from pyspark import TaskContext
 
-        number = TaskContext.get().partitionId() << 32
-        ids, words, lengths, held = [], [], [], 0
-        for batch in batches:
-            if not batch.num_rows:
-                continue
-            offsets, values = list_parts(batch.column(1))
-            ids.append(batch.column(0))
-            words.append(values[offsets[0] : offsets[-1]])
-            lengths.append(np.diff(offsets))
-            held += len(words[-1])
-            if held >= block_words:
-                yield coded(number, ids, words, lengths)
-                number, ids, words, lengths, held = number + 1, [], [], [], 0
-        if ids:
-            yield coded(number, ids, words, lengths)
-
-    rows = docs.select(F.col(f"`{doc_id}`").cast("long").alias("doc_id"), hashed_words(F.col(text)).alias("words"))
-    return rows.mapInArrow(run, _BLOCK)
+def _cut(batches: Iterator[pa.RecordBatch], block_words: int) -> Iterator[tuple[int, _Block]]:
+    """The blocks of one partition, with numbers that no other partition has."""
+    from pyspark import TaskContext
 
+    number = TaskContext.get().partitionId() << 32
+    ids, words, sizes, held = [], [], [], 0
 
-class _Block:
-    """A block's words in a row, and its n-grams of every order."""
-
-    def __init__(self, rows: pa.Table):
-        rows = rows.combine_chunks()
-        sizes = rows.column("n_words")
-        head = rows.filter(pa.compute.is_null(sizes))
-        body = rows.filter(pa.compute.is_valid(sizes))
-        known = np.frombuffer(head.column("dictionary")[0].as_py(), np.int64)
-        self.ids, self.sizes = body.column("doc_id"), body.column("n_words").to_numpy()
-        codes = np.frombuffer(b"".join(body.column("codes").to_pylist()), "<u4")
-        self.words = known[codes]
-        self.starts = np.concatenate([[0], np.cumsum(self.sizes)])[:-1]
-        # how many words of the same document stand before each word
-        self.before = np.arange(len(codes)) - np.repeat(self.starts, self.sizes)
+    def block() -> _Block:
+        return _Block(pa.concat_arrays(ids), np.concatenate(sizes).astype(np.int64), np.concatenate(words))
 
-    def grams(self, n: int) -> tuple[np.ndarray, np.ndarray]:
-        """Hashes of the n-grams, and the positions of their last words."""
-        hashes = window_hashes(self.words, n)
-        at = np.arange(n - 1, len(self.words))
-        inside = self.before[n - 1 :] >= n - 1
-        return hashes[inside], at[inside]
+    for batch in batches:
+        if batch.num_rows:
+            offsets, values = list_parts(batch.column(1))
+            ids.append(batch.column(0))
+            words.append(values[offsets[0] : offsets[-1]].copy())
+            sizes.append(np.diff(offsets))
+            held += len(words[-1])
+        if held >= block_words:
+            yield number, block()
+            number, ids, words, sizes, held = number + 1, [], [], [], 0
+    if ids:
+        yield number, block()
 
 
-def _planes(values: np.ndarray) -> bytes:
-    """Bytes of an array by significance: the many zeros of small or ascending values lie side by side."""
-    return np.ascontiguousarray(values.view(np.uint8).reshape(len(values), -1).T).tobytes()
+def _pack(values: np.ndarray) -> bytes:
+    """An array by planes of byte significance, compressed: ascending or small values leave little."""
+    planes = np.ascontiguousarray(values.view(np.uint8).reshape(len(values), -1).T)
+    return zstandard.ZstdCompressor(level=1).compress(planes.tobytes())
 
 
-def _from_planes(data: bytes, kind: str) -> np.ndarray:
+def _unpack(data: bytes, kind: str) -> np.ndarray:
     width = np.dtype(kind).itemsize
-    return np.ascontiguousarray(np.frombuffer(data, np.uint8).reshape(width, -1).T).reshape(-1).view(kind)
+    planes = np.frombuffer(zstandard.ZstdDecompressor().decompress(data), np.uint8).reshape(width, -1)
+    return np.ascontiguousarray(planes.T).reshape(-1).view(kind)
 
 
 def _bucket_edges(hashes: np.ndarray, buckets: int) -> np.ndarray:
@@ -114,24 +98,28 @@ def _bucket_edges(hashes: np.ndarray, buckets: int) -> np.ndarray:
 
 
 _REQUEST = "bucket int, block long, n int, entries int, grams binary, counts binary"
+_BLOCK = "block long, ids array<long>, sizes array<int>, dictionary binary, codes binary"
+_ANSWER = "block long, n int, bucket int, totals binary"
+_SCORE = "doc_id long, n_words long, score double"
 
 
-def _asked(buckets: int, order: int):
-    """Distinct n-grams of a block with counts, in the order of their hashes, cut into buckets."""
+def _asked(buckets: int, order: int, block_words: int):
+    """Distinct n-grams of each block with counts, in the order of their hashes, cut into buckets."""
 
-    def run(rows: pa.Table) -> pa.Table:
-        block, number = _Block(rows), rows.column("block")[0].as_py()
-        out = {c.split()[0]: [] for c in _REQUEST.split(", ")}
-        for n in range(1, order + 1):
-            grams, counts = np.unique(block.grams(n)[0], return_counts=True)
-            cuts = _bucket_edges(grams, buckets)
-            for b in np.flatnonzero(np.diff(cuts)).tolist():
-                part = grams[cuts[b] : cuts[b + 1]]
-                steps = np.concatenate([part[:1], np.diff(part)])
-                for c, v in zip(out, (b, number, n, len(part), _planes(steps), _planes(counts[cuts[b] : cuts[b + 1]].astype("<u4"))), strict=True):
-                    out[c].append(v)
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        names = [c.split()[0] for c in _REQUEST.split(", ")]
         kinds = [pa.int32(), pa.int64(), pa.int32(), pa.int32(), pa.binary(), pa.binary()]
-        return pa.table({c: pa.array(v, k) for (c, v), k in zip(out.items(), kinds, strict=True)})
+        for number, block in _cut(batches, block_words):
+            for n in range(1, order + 1):
+                grams, counts = np.unique(block.grams(n)[0], return_counts=True)
+                counts, cuts = counts.astype("<u4"), _bucket_edges(grams, buckets)
+                rows = []
+                for b in np.flatnonzero(np.diff(cuts)).tolist():
+                    part = grams[cuts[b] : cuts[b + 1]]
+                    steps = np.concatenate([part[:1], np.diff(part)])
+                    rows.append((b, number, n, len(part), _pack(steps), _pack(counts[cuts[b] : cuts[b + 1]])))
+                if rows:
+                    yield pa.RecordBatch.from_arrays([pa.array(list(c), k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], names)
 
     return run
 
@@ -139,65 +127,87 @@ def _asked(buckets: int, order: int):
 def _answered(rows: pa.Table) -> pa.Table:
     """Corpus counts of the n-grams of one bucket, handed to each request in its own order."""
     rows = rows.combine_chunks()
-    sizes = rows.column("entries").to_numpy()
-    ends = np.concatenate([[0], np.cumsum(sizes)])
-    orders, totals = rows.column("n").to_numpy(), [b""] * len(sizes)
-    grams = [np.cumsum(_from_planes(g, "<u8")) for g in rows.column("grams").to_pylist()]
-    counts = [_from_planes(c, "<u4").astype(np.int64) for c in rows.column("counts").to_pylist()]
+    sizes, orders = rows.column("entries").to_numpy(), rows.column("n").to_numpy()
+    totals: list[bytes] = [b""] * len(sizes)
     for n in np.unique(orders).tolist():  # hashes of unlike orders never meet
-        mine = np.flatnonzero(orders == n)
-        _, which = np.unique(np.concatenate([grams[i] for i in mine]), return_inverse=True)
-        total = np.bincount(which, np.concatenate([counts[i] for i in mine]))[which].astype("<i8")
+        mine = np.flatnonzero(orders == n).tolist()
+        grams = np.concatenate([np.cumsum(_unpack(rows.column("grams")[i].as_py(), "<u8"), dtype=np.uint64) for i in mine])
+        counts = np.concatenate([_unpack(rows.column("counts")[i].as_py(), "<u4") for i in mine])
+        which = np.unique(grams, return_inverse=True)[1]
+        total = np.bincount(which, counts)[which].astype("<i8")
         at = 0
-        for i in mine.tolist():
-            totals[i] = _planes(total[at : at + sizes[i]])
-            at += sizes[i]
-    assert ends[-1] == sum(map(len, grams))
+        for i in mine:
+            totals[i] = _pack(total[at : at + sizes[i]])
+            at += int(sizes[i])
     return pa.table({"block": rows.column("block"), "n": rows.column("n"), "bucket": rows.column("bucket"), "totals": pa.array(totals, pa.binary())})
 
 
-_SCORE = "doc_id long, n_words long, score double"
+def _coded(block_words: int):
+    """Each block as one row: words as codes into its own dictionary, small codes for frequent words."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for number, block in _cut(batches, block_words):
+            known, codes, counts = np.unique(block.words, return_inverse=True, return_counts=True)
+            order = np.argsort(-counts, kind="stable")
+            place = np.empty(len(order), "<u4")
+            place[order] = np.arange(len(order), dtype="<u4")
+            yield pa.RecordBatch.from_arrays(
+                [
+                    pa.array([number], pa.int64()),
+                    pa.ListArray.from_arrays(pa.array([0, len(block.ids)], pa.int32()), block.ids),
+                    pa.ListArray.from_arrays(pa.array([0, len(block.ids)], pa.int32()), pa.array(block.sizes, pa.int32())),
+                    pa.array([_pack(known[order])], pa.binary()),
+                    pa.array([_pack(place[codes])], pa.binary()),
+                ],
+                ["block", "ids", "sizes", "dictionary", "codes"],
+            )
+
+    return run
 
 
 def _scored(order: int, backoff: float, min_count: int, corpus_words: int):
     def run(rows: pa.Table, answers: pa.Table) -> pa.Table:
-        block = _Block(rows)
-        words = len(block.words)
-        answers = answers.combine_chunks().sort_by([("n", "ascending"), ("bucket", "ascending")]) if answers.num_rows else answers
-        orders = answers.column("n").to_numpy()
-        parts = answers.column("totals").to_pylist()
+        row = rows.combine_chunks()
+        known, codes = _unpack(row.column("dictionary")[0].as_py(), "<i8"), _unpack(row.column("codes")[0].as_py(), "<u4")
+        block = _Block(row.column("ids")[0].values, row.column("sizes")[0].values.to_numpy().astype(np.int64), known[codes] if len(codes) else np.empty(0, np.int64))
+        words, parts = len(block.words), sorted(zip(answers.column("n").to_pylist(), answers.column("bucket").to_pylist(), answers.column("totals").to_pylist(), strict=True), key=lambda x: x[:2])
         # log score of each word by the longest context that the corpus knows, from the shortest up
         log_score, context = np.zeros(words), np.full(words, float(corpus_words))
         for n in range(1, order + 1):
             hashes, at = block.grams(n)
             if not len(at):
                 continue
-            total = np.concatenate([_from_planes(p, "<i8") for p, o in zip(parts, orders, strict=True) if o == n])
-            count = total[np.unique(hashes, return_inverse=True)[1]].astype(np.float64)
+            distinct, which = np.unique(hashes, return_inverse=True)
+            total = np.concatenate([_unpack(t, "<i8") for m, _, t in parts if m == n])
+            if len(total) != len(distinct):
+                raise RuntimeError("the documents were cut into other blocks when they were read again")
+            count = total[which].astype(np.float64)
             seen = count >= (min_count if n > 1 else 1)
             fresh = np.log(np.where(seen, count, 1.0)) - np.log(context[at])
-            log_score[at] = np.where(seen, fresh, np.log(backoff) + log_score[at] if n > 1 else 0.0)
-            # the count of this n-gram is the context's of the word after it
+            log_score[at] = np.where(seen, fresh, np.log(backoff) + log_score[at])
+            # the count of this n-gram is that of the context of the word after it
             context = np.ones(words)
-            after = at + 1
-            good = after < words
-            context[after[good]] = count[good]
+            inner = at + 1 < words
+            context[at[inner] + 1] = count[inner]
         ends = np.concatenate([[0], np.cumsum(log_score)])
         score = ends[block.starts + block.sizes] - ends[block.starts]
-        return pa.table({"doc_id": block.ids, "n_words": pa.array(block.sizes.astype(np.int64)), "score": pa.array(score)})
+        return pa.table({"doc_id": block.ids, "n_words": pa.array(block.sizes), "score": pa.array(score)})
 
     return run
 
 
 def score_documents(docs: DataFrame, order: int = ORDER, backoff: float = BACKOFF, min_count: int = MIN_COUNT, doc_id: str = "doc_id", text: str = "text", block_words: int = BLOCK_WORDS, bucket_entries: int = BUCKET_ENTRIES) -> DataFrame:
-    """doc_id, n_words and score (the sum of the natural logarithms of S over the words) of every document."""
-    held = written(blocks(docs, doc_id, text, block_words))
-    total = held.agg(F.sum("n_words")).first()[0] or 0
+    """doc_id, n_words and score (the sum of the natural logarithms of S over the words) of every document.
+
+    ``docs`` must come in the same rows and partitions each time it is read, as files do.
+    """
+    ship(docs.sparkSession)
+    total = docs.agg(F.sum(F.size(words_of(F.col(text))))).first()[0] or 0
     buckets = max(1, -(-total * order // bucket_entries))
-    requests = held.groupBy("block").applyInArrow(_asked(buckets, order), _REQUEST)
-    answers = requests.groupBy("bucket").applyInArrow(_answered, "block long, n int, bucket int, totals binary")
-    both = held.groupBy("block").cogroup(answers.groupBy("block"))
-    return both.applyInArrow(_scored(order, backoff, min_count, total), _SCORE)
+    rows = docs.select(F.col(f"`{doc_id}`").cast("long").alias("doc_id"), hashed_words(F.col(text)).alias("words"))
+    answers = rows.mapInArrow(_asked(buckets, order, block_words), _REQUEST).groupBy("bucket").applyInArrow(_answered, _ANSWER)
+    blocks = rows.mapInArrow(_coded(block_words), _BLOCK)
+    return blocks.groupBy("block").cogroup(answers.groupBy("block")).applyInArrow(_scored(order, backoff, min_count, total), _SCORE)
 
 
 def op10_lm(spark, sf_dir: str) -> DataFrame:
