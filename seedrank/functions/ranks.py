@@ -65,10 +65,10 @@ def rank_long(weights: DataFrame, family: str = "ipps", joint: str = "shared", s
     return rows.withColumn("seed", seed).withColumn("rank", rank(family, F.col("weight"), F.col("seed")))
 
 
-def rank_wide(vectors: DataFrame, family: str = "ipps", joint: str = "shared", salt: str = "v1", runs: int = 1, algo: str = "md5") -> DataFrame:
+def rank_wide(vectors: DataFrame, family: str = "ipps", joint: str = "shared", salt: str = "v1", runs: int = 1, algo: str = "md5", unit: bool = False) -> DataFrame:
     """(run, key, cells) of every key with a positive weight; ``cells`` holds b, w, seed and rank in order of b.
 
-    ``vectors``: key, weights map<string,double>.
+    ``vectors``: key, weights map<string,double>.  ``unit`` ranks every positive weight as if it were 1.
     """
     check_design(family, joint)
     rows = with_runs(vectors.withColumn("w", F.map_filter("weights", lambda b, w: w > 0)).where(F.size("w") > 0), runs)
@@ -81,7 +81,7 @@ def rank_wide(vectors: DataFrame, family: str = "ipps", joint: str = "shared", s
     else:
         seed_of = lambda b: seeds.pair_seed(F.col("key"), b, s, algo)
     drawn = F.transform(F.map_entries("w"), lambda e: F.struct(e["key"].alias("b"), e["value"].cast("double").alias("w"), seed_of(e["key"]).alias("seed")))
-    ranked = F.transform(F.array_sort(drawn), lambda c: F.struct(c["b"].alias("b"), c["w"].alias("w"), c["seed"].alias("seed"), rank(family, c["w"], c["seed"]).alias("rank")))
+    ranked = F.transform(F.array_sort(drawn), lambda c: F.struct(c["b"].alias("b"), c["w"].alias("w"), c["seed"].alias("seed"), rank(family, F.lit(1.0) if unit else c["w"], c["seed"]).alias("rank")))
     return rows.select("run", "key", ranked.alias("cells"), *_attributes(vectors))
 
 
@@ -92,13 +92,20 @@ def _attributes(df: DataFrame) -> list[str]:
 def _independent_differences(rows: DataFrame, salt: Column, algo: str) -> DataFrame:
     """Weights in ascending order; the rank of one is the least exponential draw of the gaps up to it."""
     ascending = F.array_sort(F.transform(F.map_entries("w"), lambda e: F.struct(e["value"].cast("double").alias("w"), e["key"].alias("b"))))
-    rows = rows.withColumn("asc", ascending)
-    gap = lambda i: F.col("asc")[i]["w"] - F.when(i > 0, F.get(F.col("asc"), i - 1)["w"]).otherwise(0.0)
-    draws = F.transform("asc", lambda c, i: rank("exp", gap(i), seeds.gap_seed(F.col("key"), i, salt, algo)))
-    rows = rows.withColumn("draws", draws)
-    ranked = F.transform("asc", lambda c, i: F.struct(c["b"].alias("b"), c["w"].alias("w"), F.lit(None).cast("double").alias("seed"), F.array_min(F.slice("draws", 1, i + 1)).alias("rank")))
-    keep = [c for c in rows.columns if c not in ("key", "weights", "w", "asc", "draws", "run")]
-    return rows.select("run", "key", F.array_sort(ranked).alias("cells"), *keep)
+
+    def ranked(asc: Column) -> Column:
+        gap = lambda c, i: c["w"] - F.when(i > 0, F.get(asc, i - 1)["w"]).otherwise(0.0)
+        draws = F.transform(asc, lambda c, i: rank("exp", gap(c, i), seeds.gap_seed(F.col("key"), i, salt, algo)))
+        cell = lambda c, r: F.struct(c["b"].alias("b"), c["w"].alias("w"), F.lit(None).cast("double").alias("seed"), r.alias("rank"))
+        return _bind(draws, lambda d: F.transform(asc, lambda c, i: cell(c, F.array_min(F.slice(d, 1, i + 1)))))
+
+    keep = [c for c in rows.columns if c not in ("key", "weights", "w", "run")]
+    return rows.select("run", "key", F.array_sort(_bind(ascending, ranked)).alias("cells"), *keep)
+
+
+def _bind(value: Column, body) -> Column:
+    """``body`` of ``value``, which is evaluated once a row however often the body uses it."""
+    return F.element_at(F.transform(F.array(value), body), 1)
 
 
 def to_long(ranked: DataFrame) -> DataFrame:

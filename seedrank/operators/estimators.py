@@ -356,12 +356,11 @@ def jaccard_kmins(kmins: DataFrame, a: str, b: str) -> DataFrame:
     return wide.agg(F.avg(F.when(F.col("ra") == F.col("rb"), 1.0).otherwise(0.0)).alias("jaccard"))
 
 
-def jaccard_all_pairs(kmins: DataFrame) -> DataFrame:
-    """(a, b, jaccard) of every pair that shares a least rank in some draw: one equi-join on draw and value."""
-    n = kmins.select("t").distinct().count()
+def jaccard_all_pairs(kmins: DataFrame, k: int) -> DataFrame:
+    """(a, b, jaccard) of every pair that shares a least rank in some of k draws: one equi-join on draw and value."""
     left = kmins.select("t", "rank", F.col("assignment").alias("a"))
     right = kmins.select("t", "rank", F.col("assignment").alias("b"))
-    return left.join(right, ["t", "rank"]).where("a < b").groupBy("a", "b").agg((F.count(F.lit(1)) / n).alias("jaccard"))
+    return left.join(right, ["t", "rank"]).where("a < b").groupBy("a", "b").agg((F.count(F.lit(1)) / k).alias("jaccard"))
 
 
 # ---------------------------------------------------------------- sums

@@ -90,12 +90,12 @@ def dispersed_cells(names, value: str = "weight") -> str:
     )
 
 
-def full_cells(names) -> str:
+def full_cells(names, value: str = "weight") -> str:
     """The same of all keys, with every weight known."""
     bs = ", ".join(f"('{b}')" for b in names)
     return (
         "ks AS (SELECT DISTINCT run, key FROM ranked),\n"
-        f"c0 AS (SELECT ks.run, ks.key, b.b, coalesce(e.weight, 0.0) AS w, coalesce(e.rank, {INF}) AS rank, e.seed, coalesce(m.rk, {INF}) AS rk, coalesce(m.rk1, {INF}) AS rk1 FROM ks CROSS JOIN (VALUES {bs}) b(b) "
+        f"c0 AS (SELECT ks.run, ks.key, b.b, coalesce(e.{value}, 0.0) AS w, coalesce(e.rank, {INF}) AS rank, e.seed, coalesce(m.rk, {INF}) AS rk, coalesce(m.rk1, {INF}) AS rk1 FROM ks CROSS JOIN (VALUES {bs}) b(b) "
         "LEFT JOIN ranked e ON e.run = ks.run AND e.key = ks.key AND e.assignment = b.b LEFT JOIN meta m ON m.run = ks.run AND m.assignment = b.b),\n"
         "cells AS (SELECT run, key, b, w, rank, seed, rank < rk1 AS inn, CASE WHEN rank < rk1 THEN rk1 ELSE rk END AS theta FROM c0),\n" + _ordered()
     )

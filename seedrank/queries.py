@@ -487,3 +487,7 @@ def _sigma(spark, sf):
 @query("q_bounds", "SELECT CAST(0 AS BIGINT) AS plain_above_inclusive, CAST(0 AS BIGINT) AS generic_above_inclusive, CAST(0 AS BIGINT) AS s_above_l, CAST(0 AS BIGINT) AS min_above_max, CAST(0 AS BIGINT) AS empty")
 def _bounds(spark, sf):
     return M.bound_violations(full(spark, sf, "part_months", MONTHS3, 100, runs=3)[0], "ipps")
+
+
+# the experiments, applications and the relational and streaming surface register theirs as well
+from seedrank import applications, experiments  # noqa: E402, F401
