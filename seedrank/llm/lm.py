@@ -41,19 +41,40 @@ BLOCK_WORDS = 2_000_000
 BUCKET_ENTRIES = 2_000_000
 
 
+#: Words looked at in one go, and the longest n-grams that blocks are cut for.
+_PART = 1 << 18
+ORDER_LIMIT = 8
+
+
 class _Block:
     """Some documents: their ids, numbers of words, and words in a row."""
 
     def __init__(self, ids: pa.Array, sizes: np.ndarray, words: np.ndarray):
         self.ids, self.sizes, self.words = ids, sizes, words
         self.starts = np.cumsum(sizes) - sizes
-        # how many words of the same document stand before each word
-        self.before = np.arange(len(words)) - np.repeat(self.starts, sizes)
-
-    def grams(self, n: int) -> tuple[np.ndarray, np.ndarray]:
-        """Hashes of the n-grams, and the positions of their last words."""
-        inside = self.before[n - 1 :] >= n - 1
-        return window_hashes(self.words, n)[inside], np.arange(n - 1, len(self.words))[inside]
+        # how many words of the same document stand before each word, as far as it matters
+        self.before = np.full(len(words), 127, np.int8)
+        for i in range(127):
+            longer = self.starts[sizes > i] + i
+            if i >= ORDER_LIMIT or not len(longer):
+                break
+            self.before[longer] = i
+
+    def grams(self, n: int) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+        """The n-grams, part by part: hashes, and the positions of their last words."""
+        for a in range(n - 1, len(self.words), _PART):
+            b = min(a + _PART, len(self.words))
+            inside = self.before[a:b] >= n - 1
+            yield window_hashes(self.words[a - n + 1 : b], n)[inside], np.flatnonzero(inside) + a
+
+    def distinct(self, n: int) -> tuple[np.ndarray, np.ndarray]:
+        """The distinct n-grams in ascending order, with their numbers."""
+        parts = [h for h, _ in self.grams(n)]
+        hashes = np.concatenate(parts) if parts else np.empty(0, np.uint64)
+        del parts
+        hashes.sort()
+        first = np.flatnonzero(np.concatenate([[True], hashes[1:] != hashes[:-1]])) if len(hashes) else np.empty(0, np.int64)
+        return hashes[first], np.diff(np.append(first, len(hashes))).astype("<u4")
 
 
 def _cut(batches: Iterator[pa.RecordBatch], block_words: int) -> Iterator[tuple[int, _Block]]:
@@ -111,8 +132,8 @@ def _asked(buckets: int, order: int, block_words: int):
         kinds = [pa.int32(), pa.int64(), pa.int32(), pa.int32(), pa.binary(), pa.binary()]
         for number, block in _cut(batches, block_words):
             for n in range(1, order + 1):
-                grams, counts = np.unique(block.grams(n)[0], return_counts=True)
-                counts, cuts = counts.astype("<u4"), _bucket_edges(grams, buckets)
+                grams, counts = block.distinct(n)
+                cuts = _bucket_edges(grams, buckets)
                 rows = []
                 for b in np.flatnonzero(np.diff(cuts)).tolist():
                     part = grams[cuts[b] : cuts[b + 1]]
@@ -147,17 +168,20 @@ def _coded(block_words: int):
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for number, block in _cut(batches, block_words):
-            known, codes, counts = np.unique(block.words, return_inverse=True, return_counts=True)
+            known, counts = np.unique(block.words, return_counts=True)
             order = np.argsort(-counts, kind="stable")
             place = np.empty(len(order), "<u4")
             place[order] = np.arange(len(order), dtype="<u4")
+            codes = np.empty(len(block.words), "<u4")
+            for a in range(0, len(codes), _PART):
+                codes[a : a + _PART] = place[np.searchsorted(known, block.words[a : a + _PART])]
             yield pa.RecordBatch.from_arrays(
                 [
                     pa.array([number], pa.int64()),
                     pa.ListArray.from_arrays(pa.array([0, len(block.ids)], pa.int32()), block.ids),
                     pa.ListArray.from_arrays(pa.array([0, len(block.ids)], pa.int32()), pa.array(block.sizes, pa.int32())),
                     pa.array([_pack(known[order])], pa.binary()),
-                    pa.array([_pack(place[codes])], pa.binary()),
+                    pa.array([_pack(codes)], pa.binary()),
                 ],
                 ["block", "ids", "sizes", "dictionary", "codes"],
             )
@@ -172,23 +196,21 @@ def _scored(order: int, backoff: float, min_count: int, corpus_words: int):
         block = _Block(row.column("ids")[0].values, row.column("sizes")[0].values.to_numpy().astype(np.int64), known[codes] if len(codes) else np.empty(0, np.int64))
         words, parts = len(block.words), sorted(zip(answers.column("n").to_pylist(), answers.column("bucket").to_pylist(), answers.column("totals").to_pylist(), strict=True), key=lambda x: x[:2])
         # log score of each word by the longest context that the corpus knows, from the shortest up
-        log_score, context = np.zeros(words), np.full(words, float(corpus_words))
+        log_score, context = np.zeros(words), np.full(words + 1, float(corpus_words))
         for n in range(1, order + 1):
-            hashes, at = block.grams(n)
-            if not len(at):
-                continue
-            distinct, which = np.unique(hashes, return_inverse=True)
-            total = np.concatenate([_unpack(t, "<i8") for m, _, t in parts if m == n])
+            distinct = block.distinct(n)[0]
+            total = np.concatenate([np.empty(0, "<i8"), *(_unpack(t, "<i8") for m, _, t in parts if m == n)])
             if len(total) != len(distinct):
                 raise RuntimeError("the documents were cut into other blocks when they were read again")
-            count = total[which].astype(np.float64)
-            seen = count >= (min_count if n > 1 else 1)
-            fresh = np.log(np.where(seen, count, 1.0)) - np.log(context[at])
-            log_score[at] = np.where(seen, fresh, np.log(backoff) + log_score[at])
-            # the count of this n-gram is that of the context of the word after it
-            context = np.ones(words)
-            inner = at + 1 < words
-            context[at[inner] + 1] = count[inner]
+            longer = np.ones(words + 1)
+            for hashes, at in block.grams(n):
+                count = total[np.searchsorted(distinct, hashes)].astype(np.float64)
+                seen = count >= (min_count if n > 1 else 1)
+                fresh = np.log(np.where(seen, count, 1.0)) - np.log(context[at])
+                log_score[at] = np.where(seen, fresh, np.log(backoff) + log_score[at])
+                # the count of this n-gram is that of the context of the word after it
+                longer[at + 1] = count
+            context = longer
         ends = np.concatenate([[0], np.cumsum(log_score)])
         score = ends[block.starts + block.sizes] - ends[block.starts]
         return pa.table({"doc_id": block.ids, "n_words": pa.array(block.sizes), "score": pa.array(score)})
@@ -201,6 +223,8 @@ def score_documents(docs: DataFrame, order: int = ORDER, backoff: float = BACKOF
 
     ``docs`` must come in the same rows and partitions each time it is read, as files do.
     """
+    if order > ORDER_LIMIT:
+        raise ValueError(f"n-grams of more than {ORDER_LIMIT} words")
     ship(docs.sparkSession)
     total = docs.agg(F.sum(F.size(words_of(F.col(text))))).first()[0] or 0
     buckets = max(1, -(-total * order // bucket_entries))
