@@ -11,7 +11,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from seedrank.functions import ranks as R
@@ -34,10 +34,17 @@ def dispersed_cells(sketch: Sketch, relevant: list[str]) -> DataFrame:
     Samples of other assignments say nothing here and are not read.
     """
     names = F.array(*[F.lit(b) for b in relevant])
-    held = F.struct("weight", "rank", "seed")
-    mine = sketch.members(relevant).groupBy("run", "key").agg(F.map_from_entries(F.collect_list(F.struct(F.col("assignment"), held))).alias("m"))
-    meta = sketch.meta.where(F.col("assignment").isin(relevant)).groupBy("run").agg(F.map_from_entries(F.collect_list(F.struct("assignment", F.struct("rk", "rk1")))).alias("th"))
-    rows = mine.join(F.broadcast(meta), "run")
+    held = F.map_from_entries(F.collect_list(F.struct(F.col("assignment"), F.struct("weight", "rank", "seed"))))
+    thresholds = F.struct(F.col("assignment"), F.struct("rk", "rk1"))
+    if sketch.shape == "bottom_k":
+        # entries know their thresholds: a window over the sample shows each row those of all assignments
+        rows = sketch.entries.where(F.col("assignment").isin(relevant))
+        rows = rows.withColumn("th", F.collect_set(thresholds).over(Window.partitionBy("run"))).where("member")
+        rows = rows.groupBy("run", "key").agg(held.alias("m"), F.map_from_entries(F.any_value("th")).alias("th"))
+    else:
+        mine = sketch.members(relevant).groupBy("run", "key").agg(held.alias("m"))
+        meta = sketch.meta.where(F.col("assignment").isin(relevant)).groupBy("run").agg(F.map_from_entries(F.collect_list(thresholds)).alias("th"))
+        rows = mine.join(F.broadcast(meta), "run")
 
     def cell(b: Column) -> Column:
         inn = F.col("m")[b].isNotNull()
@@ -224,9 +231,11 @@ def check_support(vectors: DataFrame, f: Column) -> int:
 
 def plain(sketch: Sketch, assignment: str) -> DataFrame:
     """One assignment's weights from its own sample (rank conditioning, or inverse probability for Poisson)."""
-    rows = sketch.members([assignment]).join(F.broadcast(sketch.meta.where(F.col("assignment") == assignment).select("run", "rk1")), "run")
+    rows = sketch.members([assignment])
+    if "rk1" not in rows.columns:
+        rows = rows.join(F.broadcast(sketch.meta.where(F.col("assignment") == assignment).select("run", "rk1")), "run")
     p = R.cdf(sketch.family, F.col("weight"), F.col("rk1"))
-    return template(rows.drop("pos", "member", "rank", "seed"), F.lit(True), F.col("weight"), p).drop("rk1", "weight")
+    return template(rows, F.lit(True), F.col("weight"), p).drop("pos", "member", "rank", "seed", "rk", "rk1", "weight")
 
 
 def secondary(adjusted: DataFrame, h: Column) -> DataFrame:
@@ -286,10 +295,22 @@ def median(sketch: Sketch, relevant: list[str], kind: str = "l") -> DataFrame:
 
 
 def l1(sketch: Sketch, relevant: list[str], kind: str = "l") -> DataFrame:
-    """(run, key, adjusted): the greatest less the least weight, as the difference of both estimates."""
-    high = maximum(sketch, relevant).select("run", "key", "adjusted")
-    low = minimum(sketch, relevant, kind).select("run", "key", (-F.col("adjusted")).alias("adjusted"))
-    return high.unionByName(low).groupBy("run", "key").agg(F.sum("adjusted").alias("adjusted"))
+    """(run, key, adjusted): the greatest less the least weight, as the difference of both estimates.
+
+    Both are taken from the same cells, in one pass over the sample.
+    """
+    m = len(relevant)
+    _check_top(sketch, 1, m, "s")
+    _check_top(sketch, m, m, kind)
+    rows, cells = dispersed_cells(sketch, relevant), F.col("cells")
+    high = F.when(s_set_counts(cells, 1), f_max(cells) / s_set_p(cells, 1, sketch.family, sketch.joint))
+    if kind == "l":
+        counted, p = F.forall(cells, lambda c: c["inn"]), l_set_p(cells, m, sketch.family, sketch.joint)
+    else:
+        counted, p = s_set_counts(cells, m), s_set_p(cells, m, sketch.family, sketch.joint)
+    low = F.when(counted & (f_min(cells) > 0), f_min(cells) / p)
+    both = rows.select("run", "key", high.alias("high"), low.alias("low")).where(F.col("high").isNotNull() | F.col("low").isNotNull())
+    return both.select("run", "key", (F.coalesce("high", F.lit(0.0)) - F.coalesce("low", F.lit(0.0))).alias("adjusted"))
 
 
 def inclusive(summary: DataFrame, f: Callable[[Column], Column], family: str = "ipps", joint: str = "shared", d: Callable[[Column], Column] | None = None) -> DataFrame:

@@ -2,7 +2,8 @@
 
 A sketch is two small tables.  ``entries`` has the sampled (run, assignment, key, weight, seed, rank, pos);
 ``meta`` has for each (run, assignment) the thresholds ``rk`` and ``rk1`` (the k-th and the next smallest rank,
-or the Poisson threshold in both; infinite where there are fewer keys).
+or the Poisson threshold in both; infinite where there are fewer keys).  Entries of bottom-k samples carry
+their thresholds as well, so that estimates need one pass over the data and no join.
 """
 
 from __future__ import annotations
@@ -74,9 +75,16 @@ def bottom_k(ranked: DataFrame, k, family: str = "ipps", joint: str = "shared",
     place = F.row_number().over(Window.partitionBy(*GROUP).orderBy("rank", "key"))
     rows = rows.withColumn("pos", place).where(F.col("pos") <= most + 1).where(F.col("pos") <= own + 1)
     entries = rows.withColumn("member", F.col("pos") <= own)
+    group = Window.partitionBy(*GROUP)
+    at = lambda n: F.coalesce(F.max(F.when(F.col("pos") == n, F.col("rank"))).over(group), F.lit(INF))
+    entries = entries.withColumn("rk", at(own)).withColumn("rk1", at(own + 1))
     return Sketch(entries, _meta(entries, own), k, "bottom_k", family, joint, salt, known_seeds)
 
 
+#: Columns that sampling adds to ranked rows.
+SAMPLED = ("pos", "member", "rk", "rk1")
+
+
 def _meta(entries: DataFrame, own: Column) -> DataFrame:
     at = lambda n: F.coalesce(F.max(F.when(F.col("pos") == n, F.col("rank"))), F.lit(INF))
     return entries.groupBy(*GROUP).agg(at(own).alias("rk"), at(own + 1).alias("rk1"), F.count_if("member").alias("size"))
@@ -188,7 +196,7 @@ def merge(a: Sketch, b: Sketch) -> Sketch:
     """The bottom-k sketch of the union of two sets of disjoint keys, from the sketches of both."""
     if a.design() != b.design() or a.k != b.k or a.shape != "bottom_k":
         raise IncompatibleSketches("only bottom-k sketches of one design, size and salt merge")
-    rows = a.entries.drop("pos", "member").unionByName(b.entries.drop("pos", "member"))
+    rows = a.entries.drop(*SAMPLED).unionByName(b.entries.drop(*SAMPLED))
     return bottom_k(rows, a.k, a.family, a.joint, a.salt, a.known_seeds)
 
 
@@ -204,7 +212,7 @@ def fixed_distinct(ranked: DataFrame, k: int, m: int, family: str = "ipps", join
     those places.  Entries go on to place l+1; ``k`` of the sketch is null and stands in ``meta`` as l.
     """
     budget = m * k
-    base = bottom_k(ranked, budget, family, joint, salt).entries.drop("member")
+    base = bottom_k(ranked, budget, family, joint, salt).entries.drop("member", "rk", "rk1")
     best = base.groupBy("run", "key").agg(F.min("pos").alias("best"))
     counts = best.groupBy("run", "best").agg(F.count(F.lit(1)).alias("n"))
     running = counts.withColumn("upto", F.sum("n").over(Window.partitionBy("run").orderBy("best")))

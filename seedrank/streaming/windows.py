@@ -60,7 +60,7 @@ class SketchSink:
 
     def __call__(self, batch: DataFrame, number: int) -> None:
         kept = S.bottom_k(R.rank_long(batch, self.family, "shared", self.salt), self.k, self.family, "shared", self.salt).entries
-        kept.drop("pos", "member").write.mode("overwrite").parquet(f"{self.path}/batch={number}")
+        kept.drop(*S.SAMPLED).write.mode("overwrite").parquet(f"{self.path}/batch={number}")
 
     def sketch(self) -> S.Sketch:
         rows = self.spark.read.parquet(self.path).drop("batch")
