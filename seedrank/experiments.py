@@ -49,18 +49,40 @@ PLANS = {
 }
 
 
+def sv_many(spark, sf, workload, names, k, measures, family="ipps", joint="shared") -> DataFrame:
+    """(measure, log_sv, log_nsv): log10 of the sum of variances, and of its share of the squared total.
+
+    All measures come from one pass over the cells; unweighted ones have cells of their own.
+    """
+    kinds = [[m for m in measures if m.startswith("unweighted") == unit] for unit in (False, True)]
+    parts = [_sv_pass(cells_of(spark, sf, workload, names, k, family, joint, bool(i)), names, ms, family, joint) for i, ms in enumerate(kinds) if ms]
+    return reduce(DataFrame.unionByName, parts)
+
+
+def _sv_pass(cells: DataFrame, names, measures, family, joint) -> DataFrame:
+    c, sums = F.col("cells"), []
+    for m in measures:
+        if m in ("l1_l", "l1_s"):
+            low = E.l_set_p(c, len(names), family, joint) if m == "l1_l" else E.s_set_p(c, len(names), family, joint)
+            f, sv = E.f_l1(c), M.l1_variance(E.f_max(c), E.f_min(c), E.s_set_p(c, 1, family, joint), low)
+        else:
+            fn, p = PLANS[m](names, family, joint)
+            f, sv = fn(c).cast("double"), M.key_variance(fn(c).cast("double"), p(c))
+        sums += [F.sum(sv).alias(f"sv_{m}"), F.sum(f).alias(f"f_{m}")]
+    mean = cells.groupBy("run").agg(*sums).agg(*[F.avg(f"{x}_{m}").alias(f"{x}_{m}") for m in measures for x in ("sv", "f")])
+    row = lambda m: F.struct(F.lit(m).alias("measure"), F.log10(f"sv_{m}").alias("log_sv"), (F.log10(f"sv_{m}") - 2 * F.log10(f"f_{m}")).alias("log_nsv"))
+    return mean.select(F.inline(F.array(*[row(m) for m in measures])))
+
+
 def sv_plan(spark, sf, workload, names, k, measure, family="ipps", joint="shared") -> DataFrame:
-    """One row: log10 of the sum of variances, and of its share of the squared total."""
-    cells = cells_of(spark, sf, workload, names, k, family, joint, measure.startswith("unweighted"))
-    if measure in ("l1_l", "l1_s"):
-        low = (lambda c: E.l_set_p(c, len(names), family, joint)) if measure == "l1_l" else (lambda c: E.s_set_p(c, len(names), family, joint))
-        per_run = M.conditional_variance_l1(cells, lambda c: E.s_set_p(c, 1, family, joint), low)
-        f = E.f_l1
-    else:
-        f, p = PLANS[measure](names, family, joint)
-        per_run = M.conditional_variance(cells, f, p)
-    total = cells.where(F.col("run") == 0).agg(F.sum(f(F.col("cells"))).alias("total"))
-    return per_run.agg(F.avg("sv").alias("sv")).crossJoin(F.broadcast(total)).select(F.log10("sv").alias("log_sv"), (F.log10("sv") - 2 * F.log10("total")).alias("log_nsv"))
+    return sv_many(spark, sf, workload, names, k, [measure], family, joint).drop("measure")
+
+
+def ratio_rows(values: DataFrame, pairs: list[tuple]) -> DataFrame:
+    """One row for each (labels, over, under): difference of the logarithms of two measures."""
+    wide = values.agg(F.map_from_entries(F.collect_list(F.struct("measure", "log_sv"))).alias("v"))
+    rows = [F.struct(*[F.lit(x).alias(n) for n, x in labels.items()], F.round(F.col("v")[over] - F.col("v")[under], 5).alias("log_ratio")) for labels, over, under in pairs]
+    return wide.select(F.inline(F.array(*rows)))
 
 
 def sv_sql(workload, names, k, measure, family="ipps", joint="shared") -> str:
@@ -106,8 +128,9 @@ class Table:
         lit = lambda v: f"CAST('{v}' AS VARCHAR)" if isinstance(v, str) else f"CAST({v} AS INTEGER)"
         return "\nUNION ALL\n".join(f"SELECT {', '.join(f'{lit(x)} AS {n}' for n, x in zip(self.labels, v, strict=True))}, * FROM ({s})" for v, _, s in self.rows)
 
-    def register(self, name: str) -> None:
-        query(name, self.sql())(self.plan)
+    def register(self, name: str, plan=None) -> None:
+        """``plan`` gives the same rows as the union of all parts, with less reading."""
+        query(name, self.sql())(plan or self.plan)
 
 
 def _single(workload, names, k, measure, family="ipps", joint="shared"):
@@ -152,14 +175,29 @@ for _tag, (_w, _r, _k) in {"months": ("part_months", MONTHS2, 100), "days": ("ev
         _t = Table("measure", "k")
         for _f in ("min_l", "min_s", "max", "l1_l", "l1_s", *(f"plain_{i}" for i in range(len(_r)))):
             _t.add((_f, _k), *_single(_w, _r, _k, _f, _family))
-        _t.register(f"q_w11_multi_{_tag}_{_family}")
+        _fs = [x[0][0] for x in _t.rows]
+        _t.register(
+            f"q_w11_multi_{_tag}_{_family}",
+            lambda spark, sf, a=(_w, _r, _k, _fs, _family): sv_many(spark, sf, *a).select("measure", F.lit(a[2]).alias("k"), F.round("log_sv", 5).alias("log_sv"), F.round("log_nsv", 5).alias("log_nsv")),
+        )
 
 # the simple against the inclusive selection
 _t = Table("data", "f", "k")
-for _w, _r, _k in (("part_months", MONTHS6, 100), ("event_days", DAYS4, 40), ("halves_brand_lines", ["h1", "h2"], 100), ("words", WORDS, 100)):
+_S_OVER_L = (("part_months", MONTHS6, 100), ("event_days", DAYS4, 40), ("halves_brand_lines", ["h1", "h2"], 100), ("words", WORDS, 100))
+
+
+def _s_over_l(spark, sf) -> DataFrame:
+    parts = []
+    for w, r, k in _S_OVER_L:
+        values = sv_many(spark, sf, w, r, k, ["min_s", "min_l", "l1_s", "l1_l"])
+        parts.append(ratio_rows(values, [({"data": w, "f": f, "k": k}, f"{f}_s", f"{f}_l") for f in ("min", "l1")]))
+    return reduce(DataFrame.unionByName, parts)
+
+
+for _w, _r, _k in _S_OVER_L:
     for _f in ("min", "l1"):
         _t.add((_w, _f, _k), *_ratio(_w, _r, _k, (f"{_f}_s", *SHARED), (f"{_f}_l", *SHARED)))
-_t.register("q_w12_s_over_l")
+_t.register("q_w12_s_over_l", _s_over_l)
 
 # inclusive against plain estimates of single assignments
 for _w, _k in (("pairs", 100), ("parts", 100), ("event_day3", 20), ("ohlc", 20), ("money", 100)):
@@ -167,7 +205,13 @@ for _w, _k in (("pairs", 100), ("parts", 100), ("event_day3", 20), ("ohlc", 20),
         _t = Table("assignment", "k")
         for _i, _b in enumerate(NAMES[_w]):
             _t.add((_b, _k), *_ratio(_w, NAMES[_w], _k, (f"inclusive_{_i}", "ipps", _joint), (f"plain_{_i}", "ipps", _joint)))
-        _t.register(f"q_w13_inclusive_over_plain_{_w}_{_joint}")
+        _t.register(
+            f"q_w13_inclusive_over_plain_{_w}_{_joint}",
+            lambda spark, sf, w=_w, k=_k, j=_joint: ratio_rows(
+                sv_many(spark, sf, w, NAMES[w], k, [f"{x}_{i}" for i in range(len(NAMES[w])) for x in ("inclusive", "plain")], "ipps", j),
+                [({"assignment": b, "k": k}, f"inclusive_{i}", f"plain_{i}") for i, b in enumerate(NAMES[w])],
+            ),
+        )
 
 
 # variance against storage: four estimators at the size of their samples
@@ -192,17 +236,29 @@ for _joint in ("shared", "independent"):
 _t.register("q_w14_tradeoff")
 
 # the sharing index as k grows
+_SIZES = (10, 50, 200)
 _t = Table("data", "joint", "k")
 for _w in ("parts", "pairs"):
     for _joint in ("shared", "independent"):
-        for _k in (10, 50, 200):
-            _m = len(NAMES[_w])
-            _t.add(
-                (_w, _joint, _k),
-                lambda spark, sf, w=_w, j=_joint, k=_k, m=_m: M.sharing_index(S.bottom_k(R.to_long(R.rank_wide(wide_weights(spark, sf, w, NAMES[w]), "ipps", j, runs=RUNS)), k, "ipps", j), k, m).withColumn("sharing_index", F.round("sharing_index", 9)),
-                f"SELECT round(keys / {float(_k * _m)}, 9) AS sharing_index FROM ({_size_sql(_w, NAMES[_w], _k, _joint)})",
-            )
-_t.register("q_w15_sharing_index")
+        for _k in _SIZES:
+            _t.add((_w, _joint, _k), None, f"SELECT round(keys / {float(_k * len(NAMES[_w]))}, 9) AS sharing_index FROM ({_size_sql(_w, NAMES[_w], _k, _joint)})")
+
+
+def _sharing(spark, sf) -> DataFrame:
+    """A key is in the union at size k if its best place is k at most; so one sample serves all sizes."""
+    parts = []
+    for w in ("parts", "pairs"):
+        for joint in ("shared", "independent"):
+            m = len(NAMES[w])
+            sketch = S.bottom_k(R.to_long(R.rank_wide(wide_weights(spark, sf, w, NAMES[w]), "ipps", joint, runs=RUNS)), max(_SIZES), "ipps", joint)
+            best = sketch.members().groupBy("run", "key").agg(F.min("pos").alias("best"))
+            mean = best.groupBy("run").agg(*[F.count_if(F.col("best") <= k).alias(f"n{k}") for k in _SIZES]).agg(*[F.avg(f"n{k}").alias(f"n{k}") for k in _SIZES])
+            row = lambda k: F.struct(F.lit(w).alias("data"), F.lit(joint).alias("joint"), F.lit(k).alias("k"), F.round(F.col(f"n{k}") / (k * m), 9).alias("sharing_index"))  # noqa: E731, B023
+            parts.append(mean.select(F.inline(F.array(*[row(k) for k in _SIZES]))))
+    return reduce(DataFrame.unionByName, parts)
+
+
+_t.register("q_w15_sharing_index", _sharing)
 
 # the two rank families side by side
 _t = Table("f", "k")

@@ -12,25 +12,33 @@ from seedrank.operators import estimators as E
 from seedrank.operators.sketch import Sketch
 
 
+def key_variance(f: Column, p: Column) -> Column:
+    """Variance of a key's adjusted value given the other keys' ranks; zero where f is."""
+    return F.when(f > 0, f * f * (1 / p - 1)).otherwise(0.0)
+
+
+def l1_variance(high: Column, low: Column, p_high: Column, p_low: Column) -> Column:
+    """The same for the difference of two estimates of which the lower one counts only with the other."""
+    a = high / p_high
+    b, both = F.when(low > 0, low / p_low).otherwise(0.0), F.when(low > 0, p_low).otherwise(0.0)
+    return F.when(high > 0, both * (a - b) * (a - b) + (p_high - both) * a * a - (high - low) * (high - low)).otherwise(0.0)
+
+
 def conditional_variance(full: DataFrame, f: Callable[[Column], Column], p: Callable[[Column], Column]) -> DataFrame:
     """(run, sv): sum over all keys of f^2 (1/p - 1), the variance given the others' ranks.
 
     Its mean over runs is the sum of variances, also where keys are too rare ever to be drawn.
     """
     cells = F.col("cells")
-    rows = full.select("run", f(cells).cast("double").alias("f"), p(cells).alias("p")).where(F.col("f") > 0)
-    return rows.groupBy("run").agg(F.sum(F.col("f") ** 2 * (1 / F.col("p") - 1)).alias("sv"))
+    rows = full.select("run", f(cells).cast("double").alias("f"), p(cells).alias("p"))
+    return rows.groupBy("run").agg(F.sum(key_variance(F.col("f"), F.col("p"))).alias("sv"))
 
 
 def conditional_variance_l1(full: DataFrame, p_max: Callable[[Column], Column], p_min: Callable[[Column], Column]) -> DataFrame:
     """The same for the difference of the estimates of maximum and minimum, whose events are nested."""
     cells = F.col("cells")
-    rows = full.select("run", E.f_max(cells).alias("h"), E.f_min(cells).alias("l"), p_max(cells).alias("ph"), p_min(cells).alias("pl")).where("h > 0")
-    high = F.col("h") / F.col("ph")
-    low = F.when(F.col("l") > 0, F.col("l") / F.col("pl")).otherwise(0.0)
-    both = F.when(F.col("l") > 0, F.col("pl")).otherwise(0.0)
-    square = both * (high - low) ** 2 + (F.col("ph") - both) * high**2 - (F.col("h") - F.col("l")) ** 2
-    return rows.groupBy("run").agg(F.sum(square).alias("sv"))
+    rows = full.select("run", E.f_max(cells).alias("h"), E.f_min(cells).alias("l"), p_max(cells).alias("ph"), p_min(cells).alias("pl"))
+    return rows.groupBy("run").agg(F.sum(l1_variance(F.col("h"), F.col("l"), F.col("ph"), F.col("pl"))).alias("sv"))
 
 
 def sigma_v(adjusted: DataFrame, exact: DataFrame, runs: int) -> DataFrame:
