@@ -44,7 +44,9 @@ _BLOCK = {
     "address", "article", "blockquote", "body", "caption", "center", "dd", "details", "dir", "div", "dl", "dt", "fieldset", "figcaption", "figure", "h1", "h2", "h3", "h4", "h5", "h6",
     "hgroup", "hr", "html", "li", "main", "ol", "p", "pre", "section", "summary", "table", "tbody", "td", "tfoot", "th", "thead", "tr", "ul",
 } | _OUTSIDE
-_CONTAINER = {"article", "body", "div", "main", "section", "td", "center", "blockquote", "details", "figure", "html", "table"}
+#: What paths are made of; the page itself is the root, with or without tags for it.
+_CONTAINER = {"article", "div", "main", "section", "td", "center", "blockquote", "details", "figure", "table"}
+_ROOT = "/"
 #: A start tag of the key closes an open element of the values.
 _CLOSES = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}}
 _DIGITS = re.compile(r"\d+")
@@ -74,7 +76,7 @@ def _named(tag: str, attributes: str) -> tuple[str, bool]:
 
 def tokens(html: str) -> Iterator[tuple[str, str, list[_Element]]]:
     """("text", its characters decoded, open elements), and ("break", "", open elements) at each edge of a block."""
-    stack = [_Element("", "", False, False)]
+    stack = [_Element("", _ROOT, False, False)]
     at, end = 0, len(html)
 
     def close(depth: int) -> None:
@@ -140,8 +142,8 @@ def best_path(html: str | None) -> tuple[str, float] | None:
                 n = -n if top.link else n
                 scores[top.path] = scores.get(top.path, 0) + n
                 around = top.path.rpartition(">")[0]
-                scores[around] = scores.get(around, 0) + n / 2
-    scores.pop("", None)
+                if around:
+                    scores[around] = scores.get(around, 0) + n / 2
     best = max(scores.items(), key=lambda x: (x[1], x[0]), default=None)
     return best if best and best[1] > 0 else None
 
