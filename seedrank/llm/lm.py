@@ -103,7 +103,7 @@ def _cut(batches: Iterator[pa.RecordBatch], block_words: int) -> Iterator[tuple[
 
 def _pack(values: np.ndarray) -> bytes:
     """An array by planes of byte significance, compressed: ascending or small values leave little."""
-    planes = np.ascontiguousarray(values.view(np.uint8).reshape(len(values), -1).T)
+    planes = np.ascontiguousarray(values.view(np.uint8).reshape(len(values), values.itemsize).T)
     return zstandard.ZstdCompressor(level=1).compress(planes.tobytes())
 
 
