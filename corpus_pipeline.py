@@ -15,7 +15,7 @@ from seedrank.llm.common import table, written
 
 def keep_good(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that no quality rule rejects."""
-    return quality.quality_rules(docs).where("kept").select(*docs.columns)
+    return quality.good_documents(docs)
 
 
 def keep_first_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

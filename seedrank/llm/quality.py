@@ -157,6 +157,13 @@ def quality_rules(docs: DataFrame, rules=RULES, text: str = "text", order: list[
     return judged.withColumn("kept", F.col("rejected_by").isNull())
 
 
+def good_documents(docs: DataFrame, rules=RULES, text: str = "text", order: list[str] | None = None) -> DataFrame:
+    """The documents that no rule rejects, columns as they were."""
+    order = order or [x[0] for x in measured_order(docs, rules, text)]
+    verdict = cascade({}, rules, order, F.col(text), F.col("_words"))
+    return _with_words(docs, text).where(verdict.isNull()).select(*[f"`{c}`" for c in docs.columns])
+
+
 def op1_quality(spark, sf_dir: str) -> DataFrame:
     from seedrank.llm.common import table
 

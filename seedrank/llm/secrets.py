@@ -157,7 +157,7 @@ def redact(docs: DataFrame, text: str = "text", length: str = "n_chars", mask: s
     links = written(linked(some, ["_k1", "_k2"]))
     if links.count() <= BROADCAST_ROWS:
         links = F.broadcast(links)
-    joined = keyed.join(links, ["_k1", "_k2"], "left").select(*docs.columns, "links")
+    joined = keyed.join(links.withColumnRenamed("links", "_links"), ["_k1", "_k2"], "left").select(*[f"`{c}`" for c in docs.columns], "_links")
     at = docs.columns.index(text)
     sized = docs.columns.index(length) if length in docs.columns else None
     ship(spark)
