@@ -46,6 +46,14 @@ _PART = 1 << 18
 ORDER_LIMIT = 8
 
 
+def _places(known: np.ndarray, values: np.ndarray) -> np.ndarray:
+    """Where each value stands in ``known`` (ascending, with all of them); sorted values are found in passing."""
+    order = np.argsort(values)
+    out = np.empty(len(values), np.int64)
+    out[order] = np.searchsorted(known, values[order])
+    return out
+
+
 class _Block:
     """Some documents: their ids, numbers of words, and words in a row."""
 
@@ -174,7 +182,7 @@ def _coded(block_words: int):
             place[order] = np.arange(len(order), dtype="<u4")
             codes = np.empty(len(block.words), "<u4")
             for a in range(0, len(codes), _PART):
-                codes[a : a + _PART] = place[np.searchsorted(known, block.words[a : a + _PART])]
+                codes[a : a + _PART] = place[_places(known, block.words[a : a + _PART])]
             yield pa.RecordBatch.from_arrays(
                 [
                     pa.array([number], pa.int64()),
@@ -204,7 +212,7 @@ def _scored(order: int, backoff: float, min_count: int, corpus_words: int):
                 raise RuntimeError("the documents were cut into other blocks when they were read again")
             longer = np.ones(words + 1)
             for hashes, at in block.grams(n):
-                count = total[np.searchsorted(distinct, hashes)].astype(np.float64)
+                count = total[_places(distinct, hashes)].astype(np.float64)
                 seen = count >= (min_count if n > 1 else 1)
                 fresh = np.log(np.where(seen, count, 1.0)) - np.log(context[at])
                 log_score[at] = np.where(seen, fresh, np.log(backoff) + log_score[at])
