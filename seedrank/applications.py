@@ -102,6 +102,21 @@ def _moments(spark, sf):
     return rows.agg(F.sum(F.when(F.col("assignment") == "x", F.col("weight"))).alias("x"), F.sum(F.when(F.col("assignment") == "xx", F.col("weight"))).alias("xx"))
 
 
+_NATIONS = "JOIN supplier ON CAST(s_suppkey AS VARCHAR) = split_part(key, '|', 1) JOIN nation ON s_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey"
+
+
+@query(
+    "q_subpop_nation",
+    O.chain(O.ranked("halves_brand_lines", ["h1", "h2"]), O.bottom_k(300), O.dispersed_cells(["h1", "h2"]), *_MAX_MIN, select="SELECT r_name, n_name, round(sum(a), 3) AS change FROM (SELECT key, adjusted AS a FROM high UNION ALL SELECT key, -adjusted FROM low) " + _NATIONS + " GROUP BY ROLLUP (r_name, n_name)"),
+)
+def _nation(spark, sf):
+    """Change of the number of lines between both halves by the suppliers' region and nation."""
+    nation = scan(spark, sf, "nation").join(F.broadcast(scan(spark, sf, "region")), F.col("n_regionkey") == F.col("r_regionkey"))
+    supplier = scan(spark, sf, "supplier").join(F.broadcast(nation), F.col("s_nationkey") == F.col("n_nationkey")).select(F.col("s_suppkey").cast("string").alias("supplier"), "n_name", "r_name")
+    rows = E.l1(bottom(spark, sf, "halves_brand_lines", ["h1", "h2"], 300), ["h1", "h2"]).withColumn("supplier", F.split_part("key", F.lit("|"), F.lit(1)))
+    return relops.join_attributes(supplier, rows, "supplier", "broadcast").rollup("r_name", "n_name").agg(F.round(F.sum("adjusted"), 3).alias("change"))
+
+
 # ---------------------------------------------------------------- relational surface
 
 _KEYS = "SELECT key FROM ent WHERE member AND assignment = '{}'"

@@ -59,3 +59,18 @@ def test_repeated_events_count_once(spark, sf, tmp_path):
     stream = windows.without_repeats(windows.event_stream(spark, str(tmp_path / "in"), "*.parquet", "40 days"))
     windows.run_to_end(stream.select("event_id"), windows.TableSink(str(tmp_path / "rows")), str(tmp_path / "cp"))
     assert spark.read.parquet(str(tmp_path / "rows")).count() == events.select("event_id").distinct().count()
+
+
+def test_state_of_a_stream_holds_the_sample(spark, tmp_path):
+    from seedrank.functions.ranks import rank_long
+    from seedrank.operators.sketch import bottom_k
+    from seedrank.streaming import state
+
+    rows = spark.createDataFrame([(b, f"k{i}", float((i * ord(b)) % 29 + 1)) for b in "ab" for i in range(300)], "assignment string, key string, weight double")
+    for part in range(3):
+        rows.where(F.pmod(F.crc32(F.col("key").cast("binary")), F.lit(3)) == part).coalesce(1).write.parquet(str(tmp_path / "in" / f"p={part}"))
+    source = spark.readStream.schema("assignment string, key string, weight double").option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in" / "*"))
+    query = state.maintained(source, 20).writeStream.outputMode("update").foreachBatch(windows.TableSink(str(tmp_path / "rows"))).option("checkpointLocation", str(tmp_path / "cp")).trigger(availableNow=True).start()
+    query.awaitTermination()
+    got = {(r["assignment"], r["pos"], r["key"]) for r in state.latest(spark.read.parquet(str(tmp_path / "rows"))).collect()}
+    assert got == {(r["assignment"], r["pos"], r["key"]) for r in bottom_k(rank_long(rows), 20).entries.collect()}
