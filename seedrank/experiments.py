@@ -44,6 +44,7 @@ PLANS = {
     "max": lambda n, fam, j: (E.f_max, lambda c: E.s_set_p(c, 1, fam, "shared")),
     "unweighted_max": lambda n, fam, j: (E.f_max, lambda c: R.cdf(fam, F.lit(1.0), E.min_theta(c))),
     "unweighted_min": lambda n, fam, j: (E.f_min, lambda c: R.cdf(fam, F.lit(1.0), E.min_theta(c))),
+    "inclusive_max": lambda n, fam, j: (E.f_max, lambda c: E.inclusive_p(c, fam, j)),
     **{f"plain_{i}": lambda n, fam, j, i=i: (E.f_single(n[i]), _own_p(n[i], fam)) for i in range(12)},
     **{f"inclusive_{i}": lambda n, fam, j, i=i: (E.f_single(n[i]), lambda c: E.inclusive_p(c, fam, j)) for i in range(12)},
 }
@@ -100,7 +101,7 @@ def sv_sql(workload, names, k, measure, family="ipps", joint="shared") -> str:
         one = f"least(1.0, max(mt))" if family == "ipps" else "1 - exp(-max(mt))"
         f, p = {
             "min_l": ("min(w)", low["l"]), "min_s": ("min(w)", low["s"]), "max": ("max(w)", O.cdf(family, "max(w)", "max(mt)")),
-            "unweighted_max": ("max(w)", one), "unweighted_min": ("min(w)", one),
+            "inclusive_max": ("max(w)", f"max({each})" if joint == "shared" else f"1 - product(1 - {each})"), "unweighted_max": ("max(w)", one), "unweighted_min": ("min(w)", one),
         }.get(measure) or (val(int(measure.rpartition("_")[2])), own(int(measure.rpartition("_")[2])) if measure.startswith("plain") else (f"max({each})" if joint == "shared" else f"1 - product(1 - {each})"))
         g = f"g AS (SELECT run, key, {f} AS f, {p} AS p FROM o GROUP BY 1, 2)"
         x = "x AS (SELECT run, f, p FROM g WHERE f > 0)"
@@ -266,3 +267,19 @@ for _f in ("max", "min_l"):
     for _k in (50, 200):
         _t.add((_f, _k), *_ratio("part_months", MONTHS2, _k, (_f, "exp", "shared"), (_f, "ipps", "shared")))
 _t.register("q_w16_exp_over_ipps")
+
+# the generic selection (that of the maximum) against the inclusive one, where whole vectors are known
+_t = Table("data", "k")
+for _w, _k in (("part_months", 100), ("event_days", 20)):
+    _t.add((_w, _k), *_ratio(_w, NAMES[_w][:4], _k, ("max", *SHARED), ("inclusive_max", *SHARED)))
+_t.register("q_d11_generic_over_inclusive")
+
+
+@query("q_d11_inddiff_over_shared")
+def _inddiff_over_shared(spark, sf):
+    """Inclusive estimates of maxima under both coordinated designs of exponential ranks."""
+    names, parts = NAMES["part_months"][:4], []
+    for k in (50, 200):
+        a, b = (sv_plan(spark, sf, "part_months", names, k, "inclusive_max", "exp", j).select(F.col("log_sv").alias(j)) for j in ("inddiff", "shared"))
+        parts.append(a.crossJoin(F.broadcast(b)).select(F.lit(k).alias("k"), F.round(F.col("inddiff") - F.col("shared"), 5).alias("log_ratio")))
+    return reduce(DataFrame.unionByName, parts)
