@@ -28,6 +28,8 @@ MAX_N = 3
 #: Labelled texts of each language in the training sample, and landmarks among them.
 SAMPLE = 200
 LANDMARKS = 32
+#: Labels that a model is fitted for at most; more of them are taken for a wrong column.
+MAX_LABELS = 1000
 RIDGE = 1e-3
 UNKNOWN = "und"
 _LETTER = regex.compile(r"\p{L}")
@@ -109,9 +111,11 @@ def training_sample(docs: DataFrame, label: str, key: str, text: str, per_label:
     """
     rows = docs.select(F.col(label).alias("label"), F.col(text).alias("text"), F.xxhash64(F.lit("sample"), key).alias("h"))
     rows = rows.where(F.col("label").isNotNull() & F.col("text").rlike("\\p{L}"))
-    counts = {r[0]: r[1] for r in rows.groupBy("label").count().collect()}
+    counts = {r[0]: r[1] for r in rows.groupBy("label").count().limit(MAX_LABELS + 1).collect()}
     if not counts:
         return [], []
+    if len(counts) > MAX_LABELS:
+        raise ValueError(f"{len(counts)} labels; a model has {MAX_LABELS} at most")
     below = F.lit(False)
     for name, n in counts.items():
         share = min(1.0, (2 * per_label + 20) / n)
