@@ -152,7 +152,8 @@ def quality_rules(docs: DataFrame, rules=RULES, text: str = "text", order: list[
     staged = _with_words(docs, text)
     kept = [F.col(f"`{c}`") for c in docs.columns]
     staged = staged.select(*kept, "_words", *[METRICS[m](F.col(text), F.col("_words")).alias(m) for m in metrics])
-    verdict = cascade({m: F.col(m) for m in metrics}, rules, order, F.col(text), F.col("_words"))
+    # the words stand in the verdict once, so a filter on it that moves below this step makes them once
+    verdict = let(F.col("_words"), lambda words: cascade({m: F.col(m) for m in metrics}, rules, order, F.col(text), words))
     judged = staged.select(*kept, *metrics, verdict.alias("rejected_by"))
     return judged.withColumn("kept", F.col("rejected_by").isNull())
 
@@ -160,8 +161,7 @@ def quality_rules(docs: DataFrame, rules=RULES, text: str = "text", order: list[
 def good_documents(docs: DataFrame, rules=RULES, text: str = "text", order: list[str] | None = None) -> DataFrame:
     """The documents that no rule rejects, columns as they were."""
     order = order or [x[0] for x in measured_order(docs, rules, text)]
-    verdict = cascade({}, rules, order, F.col(text), F.col("_words"))
-    return _with_words(docs, text).where(verdict.isNull()).select(*[f"`{c}`" for c in docs.columns])
+    return docs.where(let(words_of(F.col(text)), lambda words: cascade({}, rules, order, F.col(text), words)).isNull())
 
 
 def op1_quality(spark, sf_dir: str) -> DataFrame:
