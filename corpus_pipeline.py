@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from seedrank.llm import decontam, neardup, packing, quality, secrets
-from seedrank.llm.common import table, written
+from seedrank.llm.common import n_written, release, table, written
 
 
 def keep_good(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -51,7 +51,11 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = table(spark, sf_dir, "documents")
+    docs, before = table(spark, sf_dir, "documents"), n_written(spark)
     for _, stage in STAGES[:-1]:
         docs = written(stage(spark, docs, sf_dir))
-    return STAGES[-1][1](spark, docs, sf_dir)
+    done = n_written(spark) - before
+    out = STAGES[-1][1](spark, docs, sf_dir)
+    if before == 0:  # the result reads tables of its own stage only
+        release(spark, done)
+    return out

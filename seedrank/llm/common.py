@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import atexit
 import os
 import shutil
 import tempfile
@@ -33,12 +34,34 @@ def shared_dir(spark: SparkSession) -> str:
     master = spark.sparkContext.master
     if master.startswith("local") and not master.startswith("local-cluster"):
         known = tempfile.mkdtemp(prefix="corpus-checkpoint-")
+        atexit.register(shutil.rmtree, known, ignore_errors=True)
     else:
         known = spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/_intermediate"
     spark.sparkContext.setCheckpointDir(known)
     return known
 
 
+_written: dict[str, list[str]] = {}
+
+
+def n_written(spark: SparkSession) -> int:
+    """How many intermediate tables of this application there are."""
+    return len(_written.get(spark.sparkContext.applicationId, []))
+
+
+def release(spark: SparkSession, first: int | None = None) -> None:
+    """Delete the ``first`` intermediate tables of this application (all of them without it).
+
+    For when the results that read them have been written, or do not read them.
+    """
+    paths = _written.get(spark.sparkContext.applicationId, [])
+    gone, paths[:] = paths[:first], paths[len(paths[:first]) :]
+    jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
+    for path in gone:
+        at = jvm.org.apache.hadoop.fs.Path(path)
+        at.getFileSystem(conf).delete(at, True)
+
+
 def written(df: DataFrame, *partition_by: str) -> DataFrame:
     """``df`` written once as Parquet into the shared folder and read again: a cut of the lineage
     that a lost executor cannot undo.  ``checkpoint()`` would run the plan twice."""
@@ -47,6 +70,7 @@ def written(df: DataFrame, *partition_by: str) -> DataFrame:
     if partition_by:
         out = out.partitionBy(*partition_by)
     out.parquet(path)
+    _written.setdefault(df.sparkSession.sparkContext.applicationId, []).append(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 

@@ -512,3 +512,16 @@ def test_pipeline_of_odd_and_empty_tables(spark, tmp_path, sf):
         for _, stage in corpus_pipeline.STAGES:
             docs = common.written(stage(spark, docs, str(tmp_path)))
         assert {r["doc_id"] for r in docs.select("doc_id").collect()} == ({5} if n else set())
+
+
+def test_released_tables_are_gone(spark):
+    from pathlib import Path
+
+    kept = common._written.setdefault(spark.sparkContext.applicationId, [])
+    saved, kept[:] = list(kept), []
+    a, b = common.written(spark.range(3)), common.written(spark.range(4))
+    first = kept[0].removeprefix("file:")
+    common.release(spark, 1)
+    assert common.n_written(spark) == 1 and not Path(first).exists() and b.count() == 4
+    common.release(spark)
+    kept[:] = saved
