@@ -6,6 +6,10 @@ passed their window.  Seeds are hashes of keys; windows of different streams are
 
 from __future__ import annotations
 
+import atexit
+import shutil
+import tempfile
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -78,11 +82,16 @@ class TableSink:
 
 
 def _folder(spark: SparkSession) -> str:
-    """A new folder where all executors can write: beside the checkpoints, or the warehouse, of the session."""
-    import uuid
-
-    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir() or spark.conf.get("spark.sql.warehouse.dir")
-    return f"{base.rstrip('/')}/streams/{uuid.uuid4().hex}"
+    """A new folder where all executors can write: beside the checkpoints, or else the warehouse, of the session.
+
+    Only a session of a single process without a checkpoint folder gets a temporary one.
+    """
+    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
+    master = spark.sparkContext.master
+    if not base and master.startswith("local") and not master.startswith("local-cluster"):
+        base = tempfile.mkdtemp(prefix="streams-")
+        atexit.register(shutil.rmtree, base, ignore_errors=True)
+    return f"{(base or spark.conf.get('spark.sql.warehouse.dir')).rstrip('/')}/streams/{uuid.uuid4().hex}"
 
 
 def _closed(spark: SparkSession, sf_dir: str) -> DataFrame:
