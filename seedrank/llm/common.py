@@ -91,6 +91,15 @@ def ship(spark: SparkSession) -> None:
     _shipped.add(context.applicationId)
 
 
+#: Rows up to which a written table of row keys (some 40 bytes each) is broadcast.
+BROADCAST_ROWS = 1_000_000
+
+
+def sized(keys: DataFrame, limit: int | None = None) -> DataFrame:
+    """``keys``, to be broadcast if they are few enough; a join with more of them is shuffled."""
+    return F.broadcast(keys) if keys.count() <= (BROADCAST_ROWS if limit is None else limit) else keys
+
+
 def let(value: Column, body: Callable[[Column], Column]) -> Column:
     """``body`` applied to ``value``, which is evaluated once however often the body uses it."""
     return F.element_at(F.transform(F.array(value), body), 1)

@@ -20,7 +20,7 @@ import string
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from seedrank.llm.common import let, sha256_text, table, text_key
+from seedrank.llm.common import let, sha256_text, sized, table, text_key, written
 
 SPAN = 10
 GRAM = 5
@@ -182,6 +182,7 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, text: str = "text") ->
     hit = contamination(docs.select(F.lit(0).alias("doc_id"), F.col(text).alias("text")), benchmark)
     hit = hit.where(F.col("n_hit") > 0).select(F.col("k1").alias("_k1"), F.col("k2").alias("_k2")).distinct()
     k1, k2 = text_key(F.col(text))
+    hit = sized(written(hit))
     return docs.join(hit, on=[k1 == F.col("_k1"), k2 == F.col("_k2")], how="left_anti")
 
 
