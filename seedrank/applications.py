@@ -92,8 +92,9 @@ def _basket_estimate(spark, sf):
 
 @query("q_w17_document_similarity")
 def _document_similarity(spark, sf):
-    """Weighted similarity of all pairs of some documents, from 64 least ranks of each."""
-    return E.jaccard_all_pairs(S.k_mins(wide_weights(spark, sf, "doc_words"), 64, joint="inddiff"), 64).withColumn("jaccard", F.round("jaccard", 6))
+    """Weighted similarity of all pairs of English documents, from 64 least ranks of each."""
+    kmins = S.k_mins_of_long(long_weights(spark, sf, "document_words"), 64)
+    return E.jaccard_all_pairs_collapsed(kmins, 64).withColumn("jaccard", F.round("jaccard", 6))
 
 
 @query("q_w17_moments", f"SELECT CAST(sum(weight) FILTER (WHERE assignment = 'x') AS BIGINT) AS x, CAST(sum(weight) FILTER (WHERE assignment = 'xx') AS BIGINT) AS xx FROM ({WORKLOADS['moments'].sql})")

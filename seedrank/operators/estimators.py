@@ -384,6 +384,19 @@ def jaccard_all_pairs(kmins: DataFrame, k: int) -> DataFrame:
     return left.join(right, ["t", "rank"]).where("a < b").groupBy("a", "b").agg((F.count(F.lit(1)) / k).alias("jaccard"))
 
 
+def jaccard_all_pairs_collapsed(kmins: DataFrame, k: int) -> DataFrame:
+    """``jaccard_all_pairs`` where many assignments are equal: those of equal least ranks are paired as one."""
+    drawn = F.array_sort(F.collect_list(F.struct("t", "rank")))
+    member = kmins.groupBy("assignment").agg(F.xxhash64(drawn).alias("h1"), F.xxhash64(F.lit("second"), drawn).alias("h2"))
+    groups = member.groupBy("h1", "h2").agg(F.min("assignment").alias("rep"), F.collect_list("assignment").alias("members"))
+    one = groups.select("rep", "members")
+    apart = jaccard_all_pairs(kmins.join(one.select(F.col("rep").alias("assignment")), "assignment", "left_semi"), k)
+    left, right = one.select(F.col("rep").alias("a"), F.col("members").alias("xs")), one.select(F.col("rep").alias("b"), F.col("members").alias("ys"))
+    across = apart.join(left, "a").join(right, "b").select("jaccard", F.explode("xs").alias("x"), "ys").select("jaccard", "x", F.explode("ys").alias("y"))
+    equal = one.where(F.size("members") > 1).select(F.lit(1.0).alias("jaccard"), F.explode("members").alias("x"), "members").select("jaccard", "x", F.explode("members").alias("y")).where("x < y")
+    return across.unionByName(equal).select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"), "jaccard")
+
+
 # ---------------------------------------------------------------- sums
 
 

@@ -157,6 +157,29 @@ def k_mins(vectors: DataFrame, k: int, family: str = "exp", joint: str = "shared
     return flat.groupBy(F.col("c.b").alias("assignment"), "t").agg(least.alias("m")).select("assignment", "t", "m.rank", "m.key", "m.weight")
 
 
+def k_mins_of_long(weights: DataFrame, k: int, salt: str = "v1", algo: str = "md5") -> DataFrame:
+    """``k_mins`` of the joint ``inddiff`` from long weights, for assignments too many for a key's map.
+
+    Assignments that give a key the same weight have the same rank of it, so each (key, weight) draws
+    its ranks once, and no row holds all assignments of a key.
+    """
+    from seedrank.functions import seeds
+
+    rows = weights.where(F.col("weight") > 0).select("assignment", "key", F.col("weight").cast("double").alias("weight"))
+    ascending = Window.partitionBy("key").orderBy("weight")
+    levels = rows.groupBy("key", "weight").agg(F.count(F.lit(1)).alias("n"))
+    below = F.coalesce(F.sum("n").over(ascending.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    levels = levels.select("key", "weight", below.alias("level"), (F.col("weight") - F.coalesce(F.lag("weight").over(ascending), F.lit(0.0))).alias("gap"))
+    draws = levels.withColumn("t", F.explode(F.sequence(F.lit(1), F.lit(k))))
+    seed = seeds.gap_seed(F.col("key"), F.col("level"), F.concat_ws("#", F.lit(salt), F.col("t").cast("string")), algo)
+    least = F.min(R.rank("exp", F.col("gap"), seed)).over(Window.partitionBy("key", "t").orderBy("weight"))
+    drawn = draws.select("key", "weight", "t", least.alias("rank")).groupBy("key", "weight")
+    ranks = drawn.agg(F.transform(F.array_sort(F.collect_list(F.struct("t", "rank"))), lambda x: x["rank"]).alias("ranks"))
+    flat = rows.join(ranks, ["key", "weight"]).select("assignment", "key", "weight", F.posexplode("ranks").alias("t", "rank"))
+    found = flat.groupBy("assignment", (F.col("t") + 1).alias("t")).agg(F.min(F.struct("rank", "key", "weight")).alias("m"))
+    return found.select("assignment", "t", "m.rank", "m.key", "m.weight")
+
+
 def max_union(sketch: Sketch, relevant: list[str], name: str = "max") -> Sketch:
     """The sketch of the greatest weight over ``relevant``, from the sketches of each (consistent ranks)."""
     if sketch.joint == "independent":

@@ -169,3 +169,19 @@ def test_identities_of_exact_norms(spark, sf):
     assert (n["keys"], n["sum_min"], n["sum_max"], n["sum_l1"]) == (1979, 3205, 6643, 3438)
     assert n["sum_max"] - n["sum_min"] == n["sum_l1"]
     assert n["sum_max"] + n["sum_min"] == X.sums(rows, F.col("assignment").isin("m01", "m02")).agg(F.sum("total")).first()[0]
+
+
+def test_least_ranks_of_long_weights_are_those_of_wide_ones(spark):
+    rows = frame(spark, [(f"d{d}", f"w{w}", float((d * w + d) % 5)) for d in range(12) for w in range(9)] + [("copy", f"w{w}", float((3 * w + 3) % 5)) for w in range(9)])
+    wide = S.k_mins(W.to_wide(rows), 16, joint="inddiff")
+    long = S.k_mins_of_long(rows, 16)
+    assert sorted(map(tuple, long.collect())) == sorted(tuple(r) for r in wide.collect())
+    pairs = sorted(map(tuple, E.jaccard_all_pairs_collapsed(long, 16).collect()))
+    assert pairs == sorted(map(tuple, E.jaccard_all_pairs(wide, 16).collect())) and ("copy", "d3", 1.0) in pairs
+
+
+def test_similarity_is_of_all_english_documents(spark, sf, duck):
+    from seedrank.queries import QUERIES
+
+    got = QUERIES["q_w17_document_similarity"](spark, sf).toPandas()
+    assert set(got.a) | set(got.b) == {str(r[0]) for r in duck.execute("SELECT doc_id FROM documents WHERE lang = 'en' AND regexp_matches(lower(text), '[a-z]')").fetchall()}
