@@ -216,6 +216,25 @@ def test_a_large_group_of_near_copies_is_one_class(spark):
     assert got[got.doc_id < 1000].class_id.nunique() == 1 and got[got.doc_id >= 1000].class_id.nunique() == 100
 
 
+def altered(rng, words, n):
+    out = list(words)
+    for at in rng.choice(len(words), n, replace=False):
+        out[at] = f"n{rng.integers(0, 10**9)}"
+    return out
+
+
+@pytest.mark.parametrize("n, changed", [(5, 1), (10, 1), (10, 2), (20, 4), (24, 4), (25, 5), (30, 6), (60, 12), (400, 80)])
+def test_pairs_at_the_edge_of_the_law_are_found(spark, n, changed):
+    rng, rows = np.random.default_rng(n), []
+    for i in range(60):
+        base = [f"v{x}" for x in rng.integers(0, 10**9, n)]
+        near = altered(rng, base, changed) if changed > 1 else [*base[: n // 2], "changed", *base[n // 2 + 1 :]]
+        near = [*near, "added"] if n == 24 else near
+        rows += [(2 * i, " ".join(base)), (2 * i + 1, " ".join(near))]
+    got = neardup.near_duplicates(spark.createDataFrame(rows, DOCS)).toPandas()
+    assert got.class_id.nunique() <= 61 and (got.class_id // 2 == got.doc_id // 2).all()
+
+
 def test_repeats_are_labelled():
     g = np.array([5, 7, 5, 5, 9], np.uint64)
     out = neardup.occurrence_labelled(g)
