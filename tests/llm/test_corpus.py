@@ -235,6 +235,26 @@ def test_pairs_at_the_edge_of_the_law_are_found(spark, n, changed):
     assert got.class_id.nunique() <= 61 and (got.class_id // 2 == got.doc_id // 2).all()
 
 
+def test_a_loose_family_has_the_classes_of_brute_force(spark):
+    rng = np.random.default_rng(7)
+    base = [f"v{x}" for x in rng.integers(0, 10**6, 200)]
+    copies = [altered(rng, base, 23) for _ in range(120)]
+    parent = list(range(120))
+
+    def find(k):
+        while parent[k] != k:
+            k = parent[k]
+        return k
+
+    for i in range(120):
+        for j in range(i):
+            if neardup.within_distance(copies[i], copies[j], 40):
+                parent[find(i)] = find(j)
+    got = neardup.near_duplicates(spark.createDataFrame([(i, " ".join(w)) for i, w in enumerate(copies)], DOCS)).toPandas()
+    assert classes(zip(got.doc_id, got.class_id, strict=True)) == classes((k, find(k)) for k in range(120))
+    assert "n_verified_pairs" in got.columns and "n_links" not in got.columns
+
+
 def test_repeats_are_labelled():
     g = np.array([5, 7, 5, 5, 9], np.uint64)
     out = neardup.occurrence_labelled(g)
