@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from seedrank.llm.arrow import byte_bpe
+from seedrank.llm.arrow import byte_bpe_encoder
 from seedrank.llm.common import ship, table, written
 
 CAPACITY = 2048
@@ -48,7 +48,7 @@ def pieces(docs: DataFrame, capacity: int = CAPACITY, doc_id: str = "doc_id", te
     schema = PIECES + (", ids array<int>" if with_ids else "")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encode = byte_bpe(vocabulary).encode_ordinary
+        encode = byte_bpe_encoder(vocabulary)
         for batch in batches:
             names = batch.schema.names
             docs_, texts = batch.column(names.index("doc_id")), batch.column(names.index("text"))

@@ -313,6 +313,19 @@ def test_packing_of_odd_texts(spark):
     assert packing.pack_documents(empty(spark)).count() == 0
 
 
+def test_ids_are_those_of_the_json(spark):
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    reader = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json"))
+    end = "<|endoftext|>"
+    texts = [f"hello {end} world", end, f"{end}{end} a\n\n{end}\n b", f"a{end}b <|endof", "a" + " " * 1_100_000 + "b", "x" + "\n" * 1_100_000 + end + " y"]
+    ids = [reader.encode(t, add_special_tokens=False).ids for t in texts]
+    assert [arrow.byte_bpe_encoder()(t) for t in texts] == ids and ids[0] == [31373, 220, 50256, 995]
+    got = packing.pieces(spark.createDataFrame(list(enumerate(texts)), DOCS)).groupBy("doc_id").agg(F.sum("length").alias("n")).collect()
+    assert {r["doc_id"]: r["n"] for r in got} == {i: len(x) + 1 for i, x in enumerate(ids)}
+
+
 # ---------------------------------------------------------------- 6 decontamination
 
 
