@@ -2,9 +2,10 @@
 
 Every page is read once to score its containers: text in blocks counts for the block's container and
 half for the one around it, links count against it, and menus, notices and the like count for none.
-The best container's generalised path (tags with their first class, digits removed) is the page's vote.
+The best container, widened to the article or main around it or to the container that holds nearly all
+text, gives a generalised path (tags with their first class, digits removed): the page's vote.
 Votes are summed for each host; then each page is extracted at its host's winning path, or at its own
-best container where the page does not have that path.
+best container where that path is absent or without text.
 
 Defined results: a null or empty html has the empty text; a page without any scored text is extracted
 at its body; a null url is a host of its own; ties go to the larger score, then the lesser path; repeated
@@ -27,6 +28,9 @@ from seedrank.llm.common import ship, table, written
 #: Hosts up to which the table of winning paths is broadcast (some 200 bytes each).
 BROADCAST_ROWS = 200_000
 
+#: Share of a page's text outside links and marked elements that makes a container its article.
+NEARLY_ALL = 0.95
+
 _TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([A-Za-z][A-Za-z0-9:-]*)((?:[^>\"']|\"[^\"]*(?:\"|\Z)|'[^']*(?:'|\Z))*)(>|\Z)", re.DOTALL)
 _ATTRIBUTE = re.compile(r"""\b(class|id|role|hidden|aria-hidden|style)\b(?:\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+)))?""", re.IGNORECASE)
 _RAW = {"script", "style", "textarea", "title", "noscript", "template", "iframe", "xmp"}
@@ -132,20 +136,41 @@ def tokens(html: str) -> Iterator[tuple[str, str, list[_Element]]]:
 
 
 def best_path(html: str | None) -> tuple[str, float] | None:
-    """Path and score of the page's best container; the outermost of the best ones."""
+    """Path and score of the page's best container, widened to the article around it (see ``_widened``)."""
     scores: dict[str, float] = {}
+    held: dict[str, int] = {}
     for kind, text, stack in tokens(html or ""):
         top = stack[-1]
         if kind == "text" and not top.outside:
             n = len(" ".join(text.split()))
             if n:
+                if not top.link:
+                    held[top.path] = held.get(top.path, 0) + n
                 n = -n if top.link else n
                 scores[top.path] = scores.get(top.path, 0) + n
                 around = top.path.rpartition(">")[0]
                 if around:
                     scores[around] = scores.get(around, 0) + n / 2
     best = max(scores.items(), key=lambda x: (x[1], x[0]), default=None)
-    return best if best and best[1] > 0 else None
+    return (_widened(best[0], held), best[1]) if best and best[1] > 0 else None
+
+
+def _widened(path: str, held: dict[str, int]) -> str:
+    """The outermost article or main that ``path`` lies in; without one, the innermost container at or
+    around ``path`` that holds ``NEARLY_ALL`` of the page's text, if that is not the page itself.
+
+    ``held``: characters of text outside links directly in each path.
+    """
+    steps = path.split(">")
+    for i, step in enumerate(steps):
+        if step.partition(".")[0] in ("article", "main"):
+            return ">".join(steps[: i + 1])
+    total = sum(held.values())
+    for i in range(len(steps), 1, -1):
+        around = ">".join(steps[:i])
+        if sum(n for p, n in held.items() if p == around or p.startswith(around + ">")) >= NEARLY_ALL * total:
+            return around
+    return path
 
 
 def text_at(html: str | None, path: str | None) -> str | None:
@@ -199,7 +224,7 @@ def extract(pages: DataFrame, page_id: str = "page_id", url: str = "url", html:
             for h, p in zip(batch.column(2), batch.column(3), strict=True):
                 h = h.as_py()
                 found = text_at(h, p.as_py()) if p.is_valid else None
-                if found is None:
+                if not found:
                     own = best_path(h)
                     found = text_at(h, own[0] if own else None)
                 texts.append(found or "")

@@ -398,6 +398,22 @@ def test_hosts_agree_on_a_path(spark):
     assert html.extract(pages.where("false")).count() == 0
 
 
+def test_articles_are_whole(spark):
+    say = lambda w, n: (w + " ") * n
+    shapes = [
+        f"<article><h1>Title</h1><p>{say('lead', 30)}</p><div class=body><p>{say('body', 400)}</p></div></article>",
+        f"<article><p>{say('intro', 100)}</p><table><tr><td>{say('cell', 300)}</td></tr></table></article>",
+        f"<article><section class=part><p>{say('part', 180)}</p></section><section class=appendix><p>{say('more', 120)}</p></section></article>",
+        f"<div class=wrap><section class=part><p>{say('part', 180)}</p></section><section class=appendix><p>{say('more', 120)}</p></section></div>",
+    ]
+    rows = [(10 * i + j, f"http://h{i}.example/{j}", f"<body><nav>menu</nav>{x}</body>") for i, x in enumerate(shapes) for j in range(3)]
+    rows += [(100, "http://h0.example/stub", f"<body><article></article><div class=text><p>{say('stub', 20)}</p></div></body>")]
+    got = {r["page_id"]: r["text"] for r in html.extract(spark.createDataFrame(rows, "page_id long, url string, html string")).collect()}
+    for i, x in enumerate(shapes):
+        assert got[10 * i] == " ".join(re.sub(r"<[^>]*>", " ", x).split())
+    assert got[100] == say("stub", 20).strip()
+
+
 # ---------------------------------------------------------------- 8 chat
 
 
