@@ -91,8 +91,28 @@ def ship(spark: SparkSession) -> None:
     _shipped.add(context.applicationId)
 
 
-#: Rows up to which a written table of row keys (some 40 bytes each) is broadcast.
-BROADCAST_ROWS = 1_000_000
+#: Rows up to which a table of row keys (some 40 bytes each, 100 in memory) is broadcast.
+BROADCAST_ROWS = 250_000
+
+
+#: Rows of one key beyond which a join spreads them over several tasks.
+HUB_ROWS = 20_000
+
+
+def spread_join(many: DataFrame, few: DataFrame, key: str, spread_by: str, size: str = "n") -> DataFrame:
+    """``many`` joined with ``few`` (one row for each key, ``size``: how many rows ``many`` has of it).
+
+    Keys of more than ``HUB_ROWS`` rows get a salt: their rows in ``few`` are copied once for each
+    ``HUB_ROWS``, and those of ``many`` are dealt to the copies by ``spread_by``.  ``few`` is read
+    twice and should be a written table; there is at most one hub for each ``HUB_ROWS`` rows of ``many``.
+    """
+    salts = F.ceil(F.col(size) / HUB_ROWS).cast("int")
+    hubs = few.where(F.col(size) > HUB_ROWS).select(key, salts.alias("_salts"))
+    if hubs.isEmpty():
+        return many.join(few, key)
+    many = many.join(sized(hubs), key, "left").withColumn("_salt", F.pmod(F.xxhash64(spread_by), F.coalesce("_salts", F.lit(1))).cast("int"))
+    few = few.withColumn("_salt", F.explode(F.sequence(F.lit(0), salts - 1)))
+    return many.drop("_salts").join(few, [key, "_salt"]).drop("_salt")
 
 
 def sized(keys: DataFrame, limit: int | None = None) -> DataFrame:
@@ -100,6 +120,28 @@ def sized(keys: DataFrame, limit: int | None = None) -> DataFrame:
     return F.broadcast(keys) if keys.count() <= (BROADCAST_ROWS if limit is None else limit) else keys
 
 
+def named(name: str) -> Column:
+    """The column of that very name, dots and all."""
+    return F.col("`" + name.replace("`", "``") + "`")
+
+
+def fresh(docs: DataFrame, *names: str) -> list[str]:
+    """Names like ``names`` that ``docs`` has no column of, whatever the case of letters."""
+    taken, out = {c.lower() for c in docs.columns}, []
+    for name in names:
+        made = f"_{name}"
+        while made.lower() in taken:
+            made = "_" + made
+        taken.add(made.lower())
+        out.append(made)
+    return out
+
+
+def same_value(a: Column, b: Column) -> Column:
+    """Equal values; null equals null and nothing else."""
+    return a.eqNullSafe(b)
+
+
 def let(value: Column, body: Callable[[Column], Column]) -> Column:
     """``body`` applied to ``value``, which is evaluated once however often the body uses it."""
     return F.element_at(F.transform(F.array(value), body), 1)
