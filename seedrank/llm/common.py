@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import contextlib
 import os
 import shutil
 import tempfile
@@ -49,19 +50,28 @@ def n_written(spark: SparkSession) -> int:
     return len(_written.get(spark.sparkContext.applicationId, []))
 
 
-def release(spark: SparkSession, first: int | None = None) -> None:
-    """Delete the ``first`` intermediate tables of this application (all of them without it).
+def release(spark: SparkSession, first: int | None = None, start: int = 0) -> None:
+    """Delete ``first`` intermediate tables of this application (all of them without it), from the ``start``-th on.
 
     For when the results that read them have been written, or do not read them.
     """
     paths = _written.get(spark.sparkContext.applicationId, [])
-    gone, paths[:] = paths[:first], paths[len(paths[:first]) :]
+    gone = paths[start:] if first is None else paths[start : start + first]
+    del paths[start : start + len(gone)]
     jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
     for path in gone:
         at = jvm.org.apache.hadoop.fs.Path(path)
         at.getFileSystem(conf).delete(at, True)
 
 
+def _release_at_exit() -> None:
+    """What an application that is still up at its end has not released."""
+    spark = SparkSession.getActiveSession()
+    if spark is not None and spark.sparkContext._jsc is not None:
+        with contextlib.suppress(Exception):  # the other side may be gone before
+            release(spark)
+
+
 def written(df: DataFrame, *partition_by: str) -> DataFrame:
     """``df`` written once as Parquet into the shared folder and read again: a cut of the lineage
     that a lost executor cannot undo.  ``checkpoint()`` would run the plan twice."""
@@ -70,6 +80,8 @@ def written(df: DataFrame, *partition_by: str) -> DataFrame:
     if partition_by:
         out = out.partitionBy(*partition_by)
     out.parquet(path)
+    if not _written:
+        atexit.register(_release_at_exit)
     _written.setdefault(df.sparkSession.sparkContext.applicationId, []).append(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
@@ -86,7 +98,9 @@ def ship(spark: SparkSession) -> None:
     with tempfile.TemporaryDirectory() as folder:
         staged = Path(folder, "src", package.name)
         shutil.copytree(package, staged, ignore=shutil.ignore_patterns("__pycache__"))
-        name = shutil.make_archive(os.path.join(tempfile.mkdtemp(), package.name), "zip", staged.parent)
+        made = tempfile.mkdtemp(prefix="package-")
+        atexit.register(shutil.rmtree, made, ignore_errors=True)
+        name = shutil.make_archive(os.path.join(made, package.name), "zip", staged.parent)
     context.addPyFile(name)
     _shipped.add(context.applicationId)
 
@@ -99,7 +113,7 @@ BROADCAST_ROWS = 250_000
 HUB_ROWS = 20_000
 
 
-def spread_join(many: DataFrame, few: DataFrame, key: str, spread_by: str, size: str = "n") -> DataFrame:
+def spread_join(many: DataFrame, few: DataFrame, key: str, spread_by: str | list[str], size: str = "n") -> DataFrame:
     """``many`` joined with ``few`` (one row for each key, ``size``: how many rows ``many`` has of it).
 
     Keys of more than ``HUB_ROWS`` rows get a salt: their rows in ``few`` are copied once for each
@@ -110,7 +124,7 @@ def spread_join(many: DataFrame, few: DataFrame, key: str, spread_by: str, size:
     hubs = few.where(F.col(size) > HUB_ROWS).select(key, salts.alias("_salts"))
     if hubs.isEmpty():
         return many.join(few, key)
-    many = many.join(sized(hubs), key, "left").withColumn("_salt", F.pmod(F.xxhash64(spread_by), F.coalesce("_salts", F.lit(1))).cast("int"))
+    many = many.join(sized(hubs), key, "left").withColumn("_salt", F.pmod(F.xxhash64(*([spread_by] if isinstance(spread_by, str) else spread_by)), F.coalesce("_salts", F.lit(1))).cast("int"))
     few = few.withColumn("_salt", F.explode(F.sequence(F.lit(0), salts - 1)))
     return many.drop("_salts").join(few, [key, "_salt"]).drop("_salt")
 

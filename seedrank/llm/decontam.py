@@ -9,8 +9,9 @@ themselves are compared, so equal hashes of unlike words do no harm.
 An item of fewer than ``span`` words counts as one window of its own length and is matched whole.
 
 Defined results: null, empty or wordless texts have no words and no hits, and such items match
-nothing; repeated rows give a row each; an empty benchmark leaves every document clean; other
-columns of the tables are ignored, whatever their names.
+nothing; an item without an id hits words as others do, and is in no list of items; repeated rows give a
+row each; an empty benchmark leaves every document clean; texts of any length are matched whole; other columns of
+the tables, whatever their names, are ignored by the search and kept by ``decontaminate``.
 """
 
 from __future__ import annotations
@@ -20,7 +21,7 @@ import string
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from seedrank.llm.common import let, sha256_text, sized, table, text_key, written
+from seedrank.llm.common import fresh, let, named, sha256_text, sized, table, text_key, written
 
 SPAN = 10
 GRAM = 5
@@ -80,7 +81,7 @@ def _around(words: Column, at: Column, k: int, pad: int) -> Column:
 
 def fingerprints(benchmark: DataFrame, span: int = SPAN, k: int = GRAM, item: str = "item_id", text: str = "text") -> DataFrame:
     """(hash, item_id, m, ctx): ``m`` is 0 for a fingerprint of a long item, else a short item's length."""
-    items = benchmark.select(F.col(item).alias("item_id"), match_words(F.col(text)).alias("words"))
+    items = benchmark.select(named(item).alias("item_id"), match_words(named(text)).alias("words"))
     items = items.where(F.size("words") > 0)
     long = items.where(F.size("words") >= span).withColumn("grams", _grams(F.col("words"), k))
     long = long.withColumn("minima", _window_minima(F.col("grams"), span - k + 1))
@@ -145,8 +146,8 @@ def contamination(docs: DataFrame, benchmark: DataFrame, span: int = SPAN, k: in
     prints = fingerprints(benchmark, span, k)
     known = prints.agg(F.count(F.lit(1)), F.collect_set(F.when(F.col("m") > 0, F.col("m")))).first()
     lengths = sorted(known[1])
-    k1, k2 = text_key(F.col(text))
-    source = docs.select(F.col(doc_id).alias("doc_id"), k1.alias("k1"), k2.alias("k2"), match_words(F.col(text)).alias("words"))
+    k1, k2 = text_key(named(text))
+    source = docs.select(named(doc_id).alias("doc_id"), k1.alias("k1"), k2.alias("k2"), match_words(named(text)).alias("words"))
     staged = source.withColumn("grams", F.when(F.size("words") >= span, _grams(F.col("words"), k)))
     probes = F.when(F.size("words") >= span, _window_minima(F.col("grams"), span - k + 1)).otherwise(F.array().cast("array<bigint>"))
     probes = F.concat(probes, *_short_probes(F.col("words"), lengths))
@@ -179,11 +180,11 @@ def contamination(docs: DataFrame, benchmark: DataFrame, span: int = SPAN, k: in
 
 def decontaminate(docs: DataFrame, benchmark: DataFrame, text: str = "text") -> DataFrame:
     """``docs`` without the documents that hold a window of the benchmark; columns as they were."""
-    hit = contamination(docs.select(F.lit(0).alias("doc_id"), F.col(text).alias("text")), benchmark)
-    hit = hit.where(F.col("n_hit") > 0).select(F.col("k1").alias("_k1"), F.col("k2").alias("_k2")).distinct()
-    k1, k2 = text_key(F.col(text))
+    hit = contamination(docs.select(F.lit(0).alias("doc_id"), named(text).alias("text")), benchmark)
+    own = fresh(docs, "k1", "k2")
+    hit = hit.where(F.col("n_hit") > 0).select(F.col("k1").alias(own[0]), F.col("k2").alias(own[1])).distinct()
     hit = sized(written(hit))
-    return docs.join(hit, on=[k1 == F.col("_k1"), k2 == F.col("_k2")], how="left_anti")
+    return docs.join(hit, on=[key == F.col(name) for key, name in zip(text_key(named(text)), own, strict=True)], how="left_anti")
 
 
 def op6_decontam(spark, sf_dir: str) -> DataFrame:

@@ -8,7 +8,9 @@ matrix products: its presence matrix times that of the landmarks gives the kerne
 coefficients the margins.
 
 Defined results: a null text, and one without a letter, is ``und`` with score 0, as is every text
-where no label is known; repeated rows are judged one by one; other columns are ignored.
+where no label is known; of more than ``MAX_LABELS`` labels those with most texts are learnt; copies of a text
+are one training text; ties between labels go to the lesser one; repeated rows are judged one by one; a text of any length is
+judged whole, in memory in proportion to its length; an empty table gives no rows; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -19,17 +21,18 @@ from dataclasses import dataclass
 import numpy as np
 import pyarrow as pa
 import regex
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from seedrank.llm.common import ship, table
+from seedrank.llm.common import named, ship, table
 
 MAX_N = 3
-#: Labelled texts of each language in the training sample, and landmarks among them.
-SAMPLE = 200
-LANDMARKS = 32
-#: Labels that a model is fitted for at most; more of them are taken for a wrong column.
+#: Bounds of the training sample: labelled texts of each language, those of all languages, and landmarks likewise.
+SAMPLE, MAX_TEXTS = 200, 20_000
+LANDMARKS, MAX_LANDMARKS = 32, 1024
+#: Labels that a model is fitted for at most, and characters of all training texts, about (texts are whole).
 MAX_LABELS = 1000
+MAX_CHARS = 100_000_000
 RIDGE = 1e-3
 UNKNOWN = "und"
 _LETTER = regex.compile(r"\p{L}")
@@ -80,6 +83,7 @@ class LanguageModel:
 def fit(texts: list[str], labels: list[str], landmarks: int = LANDMARKS, ridge: float = RIDGE, max_n: int = MAX_N, sharpness: float = 4.0) -> LanguageModel:
     """Kernel ridge regression on the given texts; the first ``landmarks`` of each language serve as landmarks."""
     languages, grams = sorted(set(labels)), [spectra(t, max_n) for t in texts]
+    landmarks = max(1, min(landmarks, MAX_LANDMARKS // len(languages)))
     chosen, taken = [], dict.fromkeys(languages, 0)
     for i, label in enumerate(labels):
         if taken[label] < landmarks:
@@ -103,30 +107,32 @@ def fit(texts: list[str], labels: list[str], landmarks: int = LANDMARKS, ridge:
     return model
 
 
-def training_sample(docs: DataFrame, label: str, key: str, text: str, per_label: int = SAMPLE) -> tuple[list[str], list[str]]:
-    """At most ``per_label`` texts with a letter of each label, those of least hashed key.
+def training_sample(docs: DataFrame, label: str, text: str, per_label: int = SAMPLE, max_chars: int = MAX_CHARS) -> tuple[list[str], list[str]]:
+    """At most ``per_label`` unlike texts with a letter of each label, those of least hash.
 
-    A hash below a threshold that some more texts meet is asked for first, so no more than about
-    twice the sample leaves the executors, and no window gathers a label in one task.
+    A hash threshold that some more texts meet is asked for first; what meets it is cut to the sample
+    label by label, before anything leaves the executors.  Long texts are whole, and fewer where they
+    would exceed the label's share of ``max_chars`` (one at least).
     """
-    rows = docs.select(F.col(label).alias("label"), F.col(text).alias("text"), F.xxhash64(F.lit("sample"), key).alias("h"))
-    rows = rows.where(F.col("label").isNotNull() & F.col("text").rlike("\\p{L}"))
-    counts = {r[0]: r[1] for r in rows.groupBy("label").count().limit(MAX_LABELS + 1).collect()}
+    rows = docs.select(named(label).alias("label"), named(text).alias("text"))
+    rows = rows.where(F.col("label").isNotNull() & F.col("text").rlike("\\p{L}")).withColumn("h", F.xxhash64(F.lit("sample"), "text"))
+    # copies of a text count once; the number of unlike ones is needed roughly only
+    per_name = rows.groupBy("label").agg(F.approx_count_distinct("h", 0.02).alias("n"), F.count(F.lit(1)).alias("all"))
+    counts = {r[0]: r[1] for r in per_name.orderBy(F.col("all").desc(), "label").limit(MAX_LABELS).collect()}
     if not counts:
         return [], []
-    if len(counts) > MAX_LABELS:
-        raise ValueError(f"{len(counts)} labels; a model has {MAX_LABELS} at most")
+    per_label = max(1, min(per_label, MAX_TEXTS // len(counts)))
     below = F.lit(False)
     for name, n in counts.items():
-        share = min(1.0, (2 * per_label + 20) / n)
+        share = min(1.0, 1.2 * (2 * per_label + 20) / n)
         below = below | ((F.col("label") == name) & (F.col("h") <= min(2**63 - 1, int(share * 2**64) - 2**63)))
-    found, taken = sorted(rows.where(below).collect(), key=lambda r: (r["h"], r["label"], r["text"])), dict.fromkeys(counts, 0)
-    out = []
-    for r in found:
-        if taken[r["label"]] < per_label:
-            taken[r["label"]] += 1
-            out.append(r)
-    return [r["text"] for r in out], [r["label"] for r in out]
+    unlike = rows.where(below).groupBy("label", "h").agg(F.first("text").alias("text"))
+    by_hash = Window.partitionBy("label").orderBy("h")
+    sizes = unlike.withColumn("chars", F.length("text").cast("long"))
+    sizes = sizes.withColumn("place", F.row_number().over(by_hash)).withColumn("upto", F.sum("chars").over(by_hash))
+    found = sizes.where((F.col("place") == 1) | ((F.col("place") <= per_label) & (F.col("upto") <= max_chars // len(counts)))).select("label", "h", "text").collect()
+    found.sort(key=lambda r: (r["h"], r["label"]))
+    return [r["text"] for r in found], [r["label"] for r in found]
 
 
 def identify(docs: DataFrame, model: LanguageModel | None, keep: list[str], text: str = "text", batch: int = 64) -> DataFrame:
@@ -147,13 +153,13 @@ def identify(docs: DataFrame, model: LanguageModel | None, keep: list[str], text
                     names[i], scores[i] = name, s
             yield pa.RecordBatch.from_arrays([*rows.columns[:-1], pa.array(names, pa.string()), pa.array(scores)], [*keep, "lang_pred", "score"])
 
-    chosen = docs.select(*[F.col(f"`{c}`") for c in keep], F.col(text).alias("_scored"))
+    chosen = docs.select(*[named(c) for c in keep], named(text).alias("_scored"))
     schema = "".join(f"`{f.name}` {f.dataType.simpleString()}, " for f in chosen.schema[:-1])
     return chosen.mapInArrow(run, schema + "lang_pred string, score double")
 
 
 def op2_language(spark, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").withColumn("held_out", F.crc32(F.col("doc_id").cast("string").cast("binary")) % 4 == 2)
-    texts, labels = training_sample(docs.where(~F.col("held_out")), "lang", "doc_id", "text")
+    texts, labels = training_sample(docs.where(~F.col("held_out")), "lang", "text")
     model = fit(texts, labels) if texts else None
     return identify(docs, model, ["doc_id", "held_out"])

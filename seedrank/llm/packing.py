@@ -8,7 +8,8 @@ seen the rest or a level no longer saves bins.  No node gets more than ``node_it
 average, whatever the size of the input, and the bins that no partner exists for do not gather.
 
 Defined results: a null or empty text is one piece that holds only the end token; repeated rows
-are packed one by one; an empty table gives no rows; other columns are ignored.
+are packed one by one; an empty table gives no rows; a text of any length is tokenised whole, in memory
+in proportion to its length; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -22,7 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from seedrank.llm.arrow import byte_bpe_encoder
-from seedrank.llm.common import ship, table, written
+from seedrank.llm.common import named, ship, table, written
 
 CAPACITY = 2048
 END_ID = 0
@@ -64,7 +65,7 @@ def pieces(docs: DataFrame, capacity: int = CAPACITY, doc_id: str = "doc_id", te
             types = {"doc_id": pa.int64(), "piece": pa.int32(), "ids": pa.list_(pa.int32())}
             yield pa.RecordBatch.from_pydict({c: pa.array(v, types.get(c, pa.int64())) for c, v in out.items()})
 
-    return docs.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text")).mapInArrow(run, schema)
+    return docs.select(named(doc_id).cast("long").alias("doc_id"), named(text).alias("text")).mapInArrow(run, schema)
 
 
 def best_fit(sizes: np.ndarray, capacity: int) -> list[list[int]]:
@@ -93,8 +94,8 @@ def best_fit(sizes: np.ndarray, capacity: int) -> list[list[int]]:
     return bins
 
 
-#: A bin on its way up: its members in order, how full it is, and the sequence number once emitted.
-_MEMBER = "struct<doc_id:long,piece:int,start:long,length:long,ids_crc32:long>"
+#: A bin on its way up: its members in order with their places in it, how full it is, and the sequence number once emitted.
+_MEMBER = "struct<doc_id:long,piece:int,start:long,length:long,ids_crc32:long,offset:long>"
 _BINS = f"fill long, members array<{_MEMBER}>, sequence_id long, tie long"
 
 
@@ -110,6 +111,10 @@ def _pack_node(capacity: int, slack: int, level: int):
         order = np.concatenate([np.arange(offsets[i], offsets[i + 1]) for b in packed for i in b])
         counts = [int(sum(offsets[i + 1] - offsets[i] for i in b)) for b in packed]
         flat = members.values.take(pa.array(order))
+        lengths = flat.field("length").to_numpy()
+        ends, heads = np.cumsum(lengths), np.cumsum(counts) - counts
+        place = ends - lengths - np.repeat((ends - lengths)[heads], counts)
+        flat = pa.StructArray.from_arrays([*flat.flatten()[:-1], pa.array(place)], names=[f.name for f in flat.type])
         grown = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(counts)]), pa.int32()), flat)
         fill = np.array([int(fills[b].sum()) for b in packed], np.int64)
         number = (np.int64(level) << 56) | (np.int64(node) << 28) | np.arange(len(packed), dtype=np.int64)
@@ -123,7 +128,7 @@ def _pack_node(capacity: int, slack: int, level: int):
 def pack(piece_rows: DataFrame, capacity: int = CAPACITY, node_items: int = NODE_ITEMS, slack: int = SLACK) -> DataFrame:
     """``piece_rows`` (a table that can be read again) with sequence_id and offset."""
     ship(piece_rows.sparkSession)
-    member = F.struct(*[c.split()[0] for c in PIECES.split(", ")])
+    member = F.struct(*[c.split()[0] for c in PIECES.split(", ")], F.lit(0).cast("long").alias("offset"))
     tie = F.xxhash64("doc_id", "piece", "start", "ids_crc32")
     bins = piece_rows.select(F.col("length").alias("fill"), F.array(member).alias("members"), F.lit(None).cast("long").alias("sequence_id"), tie.alias("tie"))
     # a piece that fills its sequence needs no partner; its number lies in a range of its own
@@ -146,9 +151,7 @@ def pack(piece_rows: DataFrame, capacity: int = CAPACITY, node_items: int = NODE
     out = parts[0]
     for p in parts[1:]:
         out = out.unionByName(p)
-    placed = out.select("sequence_id", F.posexplode("members").alias("at", "m"), F.col("members.length").alias("lengths"))
-    offset = F.aggregate(F.slice("lengths", 1, F.col("at")), F.lit(0).cast("long"), lambda a, x: a + x)
-    return placed.select("m.*", "sequence_id", offset.alias("offset"))
+    return out.select("sequence_id", F.explode("members").alias("m")).select(*[F.col(f"m.{c.split()[0]}") for c in PIECES.split(", ")], "sequence_id", "m.offset")
 
 
 def pack_documents(docs: DataFrame, capacity: int = CAPACITY, **options) -> DataFrame:

@@ -6,8 +6,9 @@ evaluates them as one lazy ``CASE``: a document that an early rule rejects never
 ones.  The verdict does not depend on the order; only the time and the named reason do.
 
 Defined results: null, empty and blank texts have no words and are rejected by ``few_words``;
-repeated rows are judged one by one; extra columns pass through, and a column of the input that
-has the name of a result is replaced by the result.
+repeated rows are judged one by one; a text of any length is judged whole; an empty table gives no
+rows; extra columns pass through, and a column of the input that has the name of a result is replaced
+by the result.
 """
 
 from __future__ import annotations
@@ -19,7 +20,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from seedrank.llm.common import SPACE_CHARS, let, words_of
+from seedrank.llm.common import SPACE_CHARS, fresh, let, named, words_of
 
 REPEAT_WINDOW = 5
 
@@ -74,19 +75,21 @@ BASE = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
 
 @dataclass(frozen=True)
 class Rule:
-    """``rejects`` gets a mapping from metric name to Column and returns true for a bad document."""
+    """``rejects`` gets a mapping from metric name to Column and returns true for a bad document;
+    ``metrics`` names those that it reads."""
 
     name: str
     rejects: Callable[[Mapping[str, Column]], Column]
+    metrics: tuple[str, ...] = ()
 
 
 RULES: tuple[Rule, ...] = (
-    Rule("few_words", lambda m: m["n_words"] < 10),
-    Rule("repeated_windows", lambda m: 100 * m["n_repeat_words"] > 20 * m["n_words"]),
-    Rule("symbols", lambda m: 10 * m["n_symbols"] > 2 * m["n_words"]),
-    Rule("exclaims", lambda m: 10 * m["n_exclaims"] > 2 * m["n_words"]),
-    Rule("word_length", lambda m: (m["word_chars"] < 2 * m["n_words"]) | (m["word_chars"] > 20 * m["n_words"])),
-    Rule("duplicate_lines", lambda m: 10 * m["n_dup_lines"] > 3 * m["n_words"]),
+    Rule("few_words", lambda m: m["n_words"] < 10, ("n_words",)),
+    Rule("repeated_windows", lambda m: 100 * m["n_repeat_words"] > 20 * m["n_words"], ("n_repeat_words", "n_words")),
+    Rule("symbols", lambda m: 10 * m["n_symbols"] > 2 * m["n_words"], ("n_symbols", "n_words")),
+    Rule("exclaims", lambda m: 10 * m["n_exclaims"] > 2 * m["n_words"], ("n_exclaims", "n_words")),
+    Rule("word_length", lambda m: (m["word_chars"] < 2 * m["n_words"]) | (m["word_chars"] > 20 * m["n_words"]), ("word_chars", "n_words")),
+    Rule("duplicate_lines", lambda m: 10 * m["n_dup_lines"] > 3 * m["n_words"], ("n_dup_lines", "n_words")),
 )
 BASE_RULES = ("few_words", "repeated_windows")
 
@@ -103,30 +106,29 @@ class _Metrics(dict):
         return self[name]
 
 
-def _with_words(docs: DataFrame, text: str) -> DataFrame:
-    return docs.withColumn("_words", words_of(F.col(text)))
-
-
-def measured_order(docs: DataFrame, rules=RULES, text: str = "text", sample_rows: int = 256, fraction: float = 0.2) -> list[tuple[str, float, float]]:
+def measured_order(docs: DataFrame, rules=RULES, text: str = "text", sample_rows: int = 256, fraction: float = 0.2, ready: tuple[str, ...] = ()) -> list[tuple[str, float, float]]:
     """(rule, seconds a document, share rejected) on a sample, best rejection per cost first.
 
+    A rule whose metrics are all ``ready``, as they are asked for anyway, costs nothing more.
     The sample is at most ``sample_rows`` texts, taken from the first partitions that yield them.
-    It sets the order of the rules and nothing else.
+    It sets the order of the rules and nothing else; costs are times, so two runs may order rules of
+    like worth differently, and name different reasons for a document that several rules reject.
     """
     spark = docs.sparkSession
-    rows = [(r[0],) for r in docs.select(text).sample(fraction=fraction, seed=11).take(sample_rows)]
+    rows = [(r[0],) for r in docs.select(named(text)).sample(fraction=fraction, seed=11).take(sample_rows)]
     if not rows:
         return [(r.name, 0.0, 0.0) for r in rules]
-    sample = _with_words(spark.createDataFrame(rows, f"`{text}` string").coalesce(1), text).persist()
+    sample = spark.createDataFrame(rows, "text string").coalesce(1).withColumn("words", words_of(F.col("text"))).persist()
     total, found = sample.count(), []
     for rule in rules:
-        probe = sample.agg(F.count_if(rule.rejects(_Metrics({}, F.col(text), F.col("_words")))).alias("n"))
+        probe = sample.agg(F.count_if(rule.rejects(_Metrics({}, F.col("text"), F.col("words")))).alias("n"))
         spent, hit = [], 0
         for _ in range(2):  # the first run pays for compilation
             began = time.perf_counter()
             hit = probe.collect()[0][0]
             spent.append(time.perf_counter() - began)
-        found.append((rule.name, min(spent) / total, hit / total))
+        free = bool(rule.metrics) and set(rule.metrics) <= set(ready)
+        found.append((rule.name, 0.0 if free else min(spent) / total, hit / total))
     sample.unpersist()
     return sorted(found, key=lambda x: (-x[2] / max(x[1], 1e-9), x[0]))
 
@@ -147,13 +149,15 @@ def quality_rules(docs: DataFrame, rules=RULES, text: str = "text", order: list[
     ``order`` skips the measuring.  Metrics that are not asked for are computed only where the
     cascade comes to a rule that needs them.
     """
-    order = order or [x[0] for x in measured_order(docs, rules, text)]
-    docs = docs.drop("_words", "rejected_by", "kept", *metrics)
-    staged = _with_words(docs, text)
-    kept = [F.col(f"`{c}`") for c in docs.columns]
-    staged = staged.select(*kept, "_words", *[METRICS[m](F.col(text), F.col("_words")).alias(m) for m in metrics])
+    order = order or [x[0] for x in measured_order(docs, rules, text, ready=metrics)]
+    (words,), content = fresh(docs, "words"), named(text)
+    kept = [named(c) for c in docs.columns if c.lower() not in ("rejected_by", "kept", *metrics)]
+    # the text keeps a name of its own too, as a result may take that of the text
+    source, = fresh(docs, "source")
+    staged = docs.select(*kept, content.alias(source), words_of(content).alias(words))
+    staged = staged.select(*kept, source, words, *[METRICS[m](F.col(source), F.col(words)).alias(m) for m in metrics])
     # the words stand in the verdict once, so a filter on it that moves below this step makes them once
-    verdict = let(F.col("_words"), lambda words: cascade({m: F.col(m) for m in metrics}, rules, order, F.col(text), words))
+    verdict = let(F.col(words), lambda ws: cascade({m: F.col(m) for m in metrics}, rules, order, F.col(source), ws))
     judged = staged.select(*kept, *metrics, verdict.alias("rejected_by"))
     return judged.withColumn("kept", F.col("rejected_by").isNull())
 
@@ -161,7 +165,7 @@ def quality_rules(docs: DataFrame, rules=RULES, text: str = "text", order: list[
 def good_documents(docs: DataFrame, rules=RULES, text: str = "text", order: list[str] | None = None) -> DataFrame:
     """The documents that no rule rejects, columns as they were."""
     order = order or [x[0] for x in measured_order(docs, rules, text)]
-    return docs.where(let(words_of(F.col(text)), lambda words: cascade({}, rules, order, F.col(text), words)).isNull())
+    return docs.where(let(words_of(named(text)), lambda words: cascade({}, rules, order, named(text), words)).isNull())
 
 
 def op1_quality(spark, sf_dir: str) -> DataFrame:

@@ -8,7 +8,9 @@ interval join: scopes are cut into cells, parts meet on (text, cell), then their
 a cell holds few parts, as each has a least length.
 
 Defined results: null and empty texts have no spans; positions are code points, ends exclusive;
-repeated rows give a row each; other columns are ignored by the scan and kept by ``redact``.
+repeated rows give a row each; a text of any length is scanned whole, and its parts, however many, meet in
+cells; an empty table gives no rows; other columns, whatever their names, are ignored by the scan and kept by
+``redact``.
 """
 
 from __future__ import annotations
@@ -20,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from seedrank.llm.common import sha256_text, ship, table, text_key, written
+from seedrank.llm.common import fresh, named, sha256_text, ship, table, text_key, written
 
 #: Two parts are in one scope if at most so many code points lie between them.
 SCOPE = 256
@@ -98,7 +100,7 @@ def scan(docs: DataFrame, keep: list[str], text: str = "text") -> DataFrame:
             found = [[{"kind": k, "start": a, "stop": b} for k, a, b in find_parts(t.as_py())] for t in batch.column(len(keep))]
             yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(found, kind)], [*keep, "parts"])
 
-    kept = docs.select(*[F.col(f"`{c}`") for c in keep], F.col(text).alias("_scanned"))
+    kept = docs.select(*[named(c) for c in keep], named(text).alias("_scanned"))
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in kept.schema[:-1])
     return kept.mapInArrow(run, (schema + ", " if schema else "") + f"parts array<{_PART}>")
 
@@ -140,7 +142,7 @@ def _listed(parts: Column) -> Column:
 
 def find_secrets(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """One row for each document: doc_id, ``base`` (strong parts) and ``links`` (weak parts vouched for)."""
-    rows = docs.select(F.col(f"`{doc_id}`").alias("doc_id"), F.monotonically_increasing_id().alias("uid"), F.col(text).alias("text"))
+    rows = docs.select(named(doc_id).alias("doc_id"), F.monotonically_increasing_id().alias("uid"), named(text).alias("text"))
     found = written(scan(rows, ["doc_id", "uid"]))
     base = F.filter("parts", lambda p: p["kind"] < len(BASE))
     out = found.select("doc_id", "uid", base.alias("base")).join(linked(found, ["uid"]), "uid", "left")
@@ -149,15 +151,15 @@ def find_secrets(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") ->
 
 def redact(docs: DataFrame, text: str = "text", length: str = "n_chars", mask: str = MASK) -> DataFrame:
     """``docs`` with every found span of ``text`` replaced by ``mask``; ``length`` follows the text."""
-    spark = docs.sparkSession
-    k1, k2 = text_key(F.col(text))
-    keyed = docs.withColumns({"_k1": k1, "_k2": k2})
-    found = scan(keyed.select("_k1", "_k2", text), ["_k1", "_k2"], text)
-    some = written(found.where(F.exists("parts", lambda p: p["kind"] >= len(BASE)) & (F.size("parts") > 1)).dropDuplicates(["_k1", "_k2"]))
-    links = written(linked(some, ["_k1", "_k2"]))
+    spark, keys = docs.sparkSession, ["k1", "k2"]
+    k1, k2 = text_key(named(text))
+    found = scan(docs.select(k1.alias("k1"), k2.alias("k2"), named(text).alias("text")), keys)
+    some = written(found.where(F.exists("parts", lambda p: p["kind"] >= len(BASE)) & (F.size("parts") > 1)).dropDuplicates(keys))
+    own = fresh(docs, *keys, "links")
+    links = written(linked(some, keys).toDF(*own))
     if links.count() <= BROADCAST_ROWS:
         links = F.broadcast(links)
-    joined = keyed.join(links.withColumnRenamed("links", "_links"), ["_k1", "_k2"], "left").select(*[f"`{c}`" for c in docs.columns], "_links")
+    joined = docs.join(links, [k1 == F.col(own[0]), k2 == F.col(own[1])], "left").select(*[named(c) for c in docs.columns], own[2])
     at = docs.columns.index(text)
     sized = docs.columns.index(length) if length in docs.columns else None
     ship(spark)

@@ -98,7 +98,7 @@ def test_language_of_odd_texts(spark):
     assert got[1] == got[2] == got[3] == got[8] == ("und", 0.0) and got[9][0] == "en" and got[5][0] in ("en", "de")
     assert language.identify(empty(spark), model, ["doc_id"]).count() == 0
     assert language.identify(odd(spark), None, ["doc_id"]).where("lang_pred <> 'und'").count() == 0
-    assert language.training_sample(empty(spark).withColumn("lang", F.lit("x")), "lang", "doc_id", "text") == ([], [])
+    assert language.training_sample(empty(spark).withColumn("lang", F.lit("x")), "lang", "text") == ([], [])
 
 
 # ---------------------------------------------------------------- 3 sharding
@@ -505,33 +505,44 @@ def test_redaction(spark):
 def test_scores_in_many_blocks_and_buckets(spark, sf):
     docs = common.table(spark, sf, "documents")
     a = lm.score_documents(docs).toPandas().sort_values("doc_id")
-    b = lm.score_documents(docs, block_words=3000, bucket_entries=20000).toPandas().sort_values("doc_id")
+    b = lm.score_documents(docs, block_words=3000, bucket_entries=20000, plain_scan=True).toPandas().sort_values("doc_id")
     assert np.allclose(a.score, b.score) and (a.n_words.to_numpy() == b.n_words.to_numpy()).all()
 
 
-def plain_scores(texts, order, backoff, min_count):
+def plain_scores(texts, order, backoff, min_count, leave_out):
     docs = [re.findall(r"[^\x20\x09-\x0D]+", t or "") for t in texts]
-    counts = Counter(tuple(w[i : i + n]) for w in docs for n in range(1, order + 1) for i in range(len(w) - n + 1))
-    total = sum(map(len, docs))
+    own = [Counter(tuple(w[i : i + n]) for n in range(1, order + 1) for i in range(len(w) - n + 1)) for w in docs]
+    counts, total = sum(own, Counter()), sum(map(len, docs))
 
-    def s(gram):
-        c = counts[gram]
+    def s(gram, mine):
+        c = lambda g: counts[g] - (mine[g] if leave_out else 0)
         if len(gram) == 1:
-            return c / total
-        return c / counts[gram[:-1]] if c >= min_count else backoff * s(gram[1:])
+            return counts[gram] / total
+        return c(gram) / c(gram[:-1]) if c(gram) >= min_count else backoff * s(gram[1:], mine)
 
-    return [sum(np.log(s(tuple(w[max(0, i - order + 1) : i + 1]))) for i in range(len(w))) for w in docs]
+    return [sum(np.log(s(tuple(w[max(0, i - order + 1) : i + 1]), m)) for i in range(len(w))) for w, m in zip(docs, own, strict=True)]
 
 
-@pytest.mark.parametrize("order, min_count", [(1, 1), (2, 2), (3, 2), (4, 1), (5, 3)])
-def test_scores_equal_a_plain_model(spark, order, min_count):
+@pytest.mark.parametrize("order, min_count, leave_out", [(1, 1, True), (2, 2, False), (3, 1, True), (3, 1, False), (4, 1, True), (5, 3, True)])
+def test_scores_equal_a_plain_model(spark, order, min_count, leave_out):
     rng = np.random.default_rng(order)
     rows = [(i, " ".join(f"v{x}" for x in rng.integers(0, 5, int(rng.integers(0, 40))))) for i in range(50)] + [(90, None), (91, ""), (92, "  "), (93, "x"), (93, "x")]
-    got = lm.score_documents(spark.createDataFrame(rows, DOCS).coalesce(1), order=order, min_count=min_count).toPandas()
-    expected = pd.DataFrame({"doc_id": [d for d, _ in rows], "score": plain_scores([t for _, t in rows], order, 0.4, min_count)})
+    got = lm.score_documents(spark.createDataFrame(rows, DOCS), order=order, min_count=min_count, leave_out=leave_out).toPandas()
+    expected = pd.DataFrame({"doc_id": [d for d, _ in rows], "score": plain_scores([t for _, t in rows], order, 0.4, min_count, leave_out)})
     assert np.allclose(got.sort_values(["doc_id", "score"]).score.to_numpy(), expected.sort_values(["doc_id", "score"]).score.to_numpy())
 
 
+def test_documents_that_occur_twice_score_apart(spark):
+    rng = np.random.default_rng(3)
+    rows = [(i, " ".join(f"v{x}" for x in rng.integers(0, 400, 80))) for i in range(60)]
+    got = lm.score_documents(spark.createDataFrame([*rows, (100, rows[0][1]), (101, rows[1][1])], DOCS)).toPandas().set_index("doc_id").score / 80
+    assert got[[0, 1, 100, 101]].min() > got.drop([0, 1, 100, 101]).max() + 1
+
+
+def test_blocks_grow_with_the_corpus():
+    assert lm.block_size(0) == lm.block_size(10**8) == lm.LEAST_WORDS and lm.LEAST_WORDS < lm.block_size(10**12) < lm.block_size(10**15) == lm.MOST_WORDS
+
+
 def test_scores_of_odd_texts(spark):
     got = lm.score_documents(odd(spark)).toPandas()
     assert len(got) == 8 and got[got.doc_id <= 3].score.tolist() == [0, 0, 0] and (got[got.doc_id >= 4].score < 0).all()
