@@ -56,6 +56,5 @@ def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         docs = written(stage(spark, docs, sf_dir))
     done = n_written(spark) - before
     out = STAGES[-1][1](spark, docs, sf_dir)
-    if before == 0:  # the result reads tables of its own stage only
-        release(spark, done)
+    release(spark, done, start=before)  # the result reads tables of its own stage only
     return out
