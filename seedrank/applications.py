@@ -78,7 +78,15 @@ def _basket_pairs(spark, sf):
     return relops.pairs(long_weights(spark, sf, "baskets")).groupBy("a", "b").agg(F.sum(F.least("wa", "wb")).alias("low"), F.sum(F.greatest("wa", "wb")).alias("both_max"))
 
 
-@query("q_w17_basket_estimate")
+_BASKETS = O.chain(
+    O.ranked("baskets", None), O.bottom_k(100),
+    f"th AS (SELECT r.key, r.assignment, r.weight, CASE WHEN r.rank < coalesce(m.rk1, {O.INF}) THEN m.rk1 ELSE m.rk END AS theta, r.rank < m.rk1 AS inn FROM ranked r JOIN meta m USING (run, assignment))",
+    f"kp AS (SELECT key, max({O.cdf('ipps', 'weight', 'theta')}) AS p FROM th GROUP BY 1 HAVING bool_or(inn))",
+    select="SELECT x.assignment AS a, y.assignment AS b, round(sum(least(x.weight, y.weight) / p), 3) AS low FROM ranked x JOIN ranked y ON x.key = y.key AND x.assignment < y.assignment JOIN kp ON kp.key = x.key GROUP BY 1, 2",
+)
+
+
+@query("q_w17_basket_estimate", _BASKETS)
 def _basket_estimate(spark, sf):
     """The same sums of minima from an inclusive sample of orders, for every pair at once."""
     names = sorted(r[0] for r in scan(spark, sf, "part").select("p_brand").distinct().collect())
@@ -90,7 +98,57 @@ def _basket_estimate(spark, sf):
     return both.groupBy(F.col("x.assignment").alias("a"), F.col("y.assignment").alias("b")).agg(F.round(F.sum(F.least("x.weight", "y.weight") / F.col("x.p")), 3).alias("low"))
 
 
-@query("q_w17_document_similarity")
+def _similar_sql(workload: str, k: int) -> str:
+    """Pairs that share least ranks in some of ``k`` draws of independent differences."""
+    return O.chain(
+        O.ranked(workload, None, "exp", "inddiff", runs=k + 1),
+        "least_ AS (SELECT run AS t, assignment, min(rank) AS rank FROM ranked WHERE run > 0 GROUP BY 1, 2)",
+        select=f"SELECT x.assignment AS a, y.assignment AS b, round(count(*) / {float(k)}, 6) AS jaccard FROM least_ x JOIN least_ y ON x.t = y.t AND x.rank = y.rank AND x.assignment < y.assignment GROUP BY 1, 2",
+    )
+
+
+_EXACT_PAIRS = "SELECT x.assignment AS a, y.assignment AS b, CAST(sum(least(x.weight, y.weight)) AS DOUBLE) AS low FROM w x JOIN w y ON x.key = y.key AND x.assignment < y.assignment GROUP BY 1, 2"
+
+
+@query(
+    "q_w17_store_similarity",
+    f"WITH w AS ({WORKLOADS['supplier_parts'].sql}), s AS (SELECT assignment, CAST(sum(weight) AS DOUBLE) AS total FROM w GROUP BY 1), p AS ({_EXACT_PAIRS}), e AS ({_similar_sql('supplier_parts', 32)}) "
+    "SELECT p.a, p.b, round(low / (x.total + y.total - low), 6) AS exact, coalesce(e.jaccard, 0) AS estimate FROM p JOIN s x ON x.assignment = p.a JOIN s y ON y.assignment = p.b LEFT JOIN e ON e.a = p.a AND e.b = p.b",
+)
+def _store_similarity(spark, sf):
+    """Weighted similarity of every pair of suppliers that share a part, by the quantities of parts: exact, and from 32 least ranks of each.
+
+    One part takes all its suppliers into pairs, so the exact side is for parts of bounded numbers of suppliers.
+    """
+    weights = long_weights(spark, sf, "supplier_parts")
+    sums = weights.groupBy("assignment").agg(F.sum("weight").cast("double").alias("total"))
+    low = relops.pairs(weights).groupBy("a", "b").agg(F.sum(F.least("wa", "wb")).cast("double").alias("low"))
+    both = low.join(sums.select(F.col("assignment").alias("a"), F.col("total").alias("ta")), "a").join(sums.select(F.col("assignment").alias("b"), F.col("total").alias("tb")), "b")
+    found = E.jaccard_all_pairs(S.k_mins_of_long(weights, 32), 32)
+    return both.join(found, ["a", "b"], "left").select("a", "b", F.round(F.col("low") / (F.col("ta") + F.col("tb") - F.col("low")), 6).alias("exact"), F.coalesce(F.round("jaccard", 6), F.lit(0.0)).alias("estimate"))
+
+
+_SIMILAR = 0.5
+
+
+@query(
+    "q_w17_similar_documents",
+    f"WITH w AS ({WORKLOADS['document_words'].sql}), e AS (SELECT * FROM ({_similar_sql('document_words', 64)}) WHERE jaccard >= {_SIMILAR}), s AS (SELECT assignment, sum(weight) AS total FROM w GROUP BY 1) "
+    "SELECT e.a, e.b, e.jaccard AS estimate, round(low / (x.total + y.total - low), 6) AS exact FROM e JOIN s x ON x.assignment = e.a JOIN s y ON y.assignment = e.b "
+    "JOIN (SELECT e.a, e.b, CAST(coalesce(sum(least(p.weight, q.weight)), 0) AS DOUBLE) AS low FROM e JOIN w p ON p.assignment = e.a JOIN w q ON q.assignment = e.b AND p.key = q.key GROUP BY 1, 2) l ON l.a = e.a AND l.b = e.b",
+)
+def _similar_documents(spark, sf):
+    """Pairs of English documents whose estimated similarity is ``_SIMILAR`` or more, with the exact one beside it."""
+    weights = long_weights(spark, sf, "document_words")
+    found = E.jaccard_all_pairs_collapsed(S.k_mins_of_long(weights, 64), 64).where(F.col("jaccard") >= _SIMILAR)
+    sums = weights.groupBy("assignment").agg(F.sum("weight").cast("double").alias("total"))
+    x, y = (weights.select(F.col("assignment").alias(n), "key", F.col("weight").alias(f"w{n}")) for n in "ab")
+    low = found.join(x, "a").join(y, ["b", "key"]).groupBy("a", "b").agg(F.max("jaccard").alias("jaccard"), F.sum(F.least("wa", "wb")).cast("double").alias("low"))
+    both = low.join(sums.select(F.col("assignment").alias("a"), F.col("total").alias("ta")), "a").join(sums.select(F.col("assignment").alias("b"), F.col("total").alias("tb")), "b")
+    return both.select("a", "b", F.round("jaccard", 6).alias("estimate"), F.round(F.col("low") / (F.col("ta") + F.col("tb") - F.col("low")), 6).alias("exact"))
+
+
+@query("q_w17_document_similarity", _similar_sql("document_words", 64))
 def _document_similarity(spark, sf):
     """Weighted similarity of all pairs of English documents, from 64 least ranks of each."""
     kmins = S.k_mins_of_long(long_weights(spark, sf, "document_words"), 64)
@@ -247,6 +305,43 @@ def _udtf(spark, sf):
     return spark.sql("SELECT assignment, key, pos FROM bottom_k_rows(TABLE(month_ranks) PARTITION BY assignment ORDER BY (rank, key), 200)")
 
 
+@query("q_having", f"SELECT key, CAST(sum(weight) AS BIGINT) AS total FROM ({WORKLOADS['part_months'].sql}) GROUP BY 1 HAVING sum(weight) > 35 AND count(*) >= 10")
+def _having(spark, sf):
+    long_weights(spark, sf, "part_months").createOrReplaceTempView("weights_of_months")
+    return spark.sql("SELECT key, sum(weight) AS total FROM weights_of_months GROUP BY key HAVING sum(weight) > 35 AND count(*) >= 10")
+
+
+_SETS = "SELECT p_brand, p_size, CAST(sum(weight) AS BIGINT) AS total FROM {} JOIN {} ON CAST(p_partkey AS {}) = key GROUP BY GROUPING SETS ((p_brand), (p_size), (p_brand, p_size), ())"
+
+
+@query("q_grouping_sets", _SETS.format(f"({WORKLOADS['part_years'].sql})", "part", "VARCHAR"))
+def _grouping_sets(spark, sf):
+    long_weights(spark, sf, "part_years").createOrReplaceTempView("weights_of_years")
+    scan(spark, sf, "part").createOrReplaceTempView("parts_of_sets")
+    return spark.sql(_SETS.format("weights_of_years", "parts_of_sets", "STRING"))
+
+
+for _hint in ("merge", "shuffle_hash", "broadcast"):
+    query(f"q_join_hint_{_hint}", "SELECT c_mktsegment, count(*) AS n FROM orders JOIN customer ON o_custkey = c_custkey GROUP BY 1")(
+        lambda spark, sf, h=_hint: scan(spark, sf, "orders").select("o_custkey").join(scan(spark, sf, "customer").select("c_custkey", "c_mktsegment").hint(h), F.col("o_custkey") == F.col("c_custkey")).groupBy("c_mktsegment").agg(F.count(F.lit(1)).alias("n"))
+    )
+
+
+@query("q_arrow_values", "SELECT CAST(count(*) AS BIGINT) AS n, CAST(sum(CAST(round(value * 100) AS BIGINT) % 7) AS BIGINT) AS rest FROM events")
+def _arrow(spark, sf):
+    """Columns handed to NumPy batch by batch, a partial sum for each batch."""
+    import pyarrow as pa
+    import pyarrow.compute as pc
+
+    def run(batches):
+        for batch in batches:
+            values = batch.column(0).to_numpy()
+            yield pa.RecordBatch.from_pydict({"n": pa.array([len(values)], pa.int64()), "rest": pa.array([int(pc.sum(pa.array(values % 7)).as_py() or 0)], pa.int64())})
+
+    parts = scan(spark, sf, "events").select(cents(F.col("value")).alias("c")).mapInArrow(run, "n long, rest long")
+    return parts.agg(F.sum("n").alias("n"), F.sum("rest").alias("rest"))
+
+
 # ---------------------------------------------------------------- streaming replays
 
 _DAILY = "SELECT strftime(CAST(ts AS DATE), '%Y-%m-%d') AS day, CAST(user_id AS VARCHAR) AS key, CAST(sum(CAST(round(value * 100) AS BIGINT)) AS BIGINT) AS weight FROM events GROUP BY 1, 2"
@@ -266,7 +361,14 @@ def _sliding(spark, sf):
     return windows.replay_windows(spark, sf, "2 days", "1 day")
 
 
-@query("q_stream_session")
+_SESSIONS = """
+WITH e AS (SELECT user_id, ts, CAST(round(value * 100) AS BIGINT) AS c, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) < INTERVAL 6 HOUR THEN 0 ELSE 1 END AS fresh FROM events),
+s AS (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS n FROM e),
+g AS (SELECT user_id, n, min(ts) AS start, CAST(sum(c) AS BIGINT) AS weight FROM s GROUP BY 1, 2)
+SELECT strftime(start, '%Y-%m-%d') AS assignment, concat_ws('|', CAST(user_id AS VARCHAR), CAST(CAST(floor(epoch(start)) AS BIGINT) AS VARCHAR)) AS key, weight FROM g"""
+
+
+@query("q_stream_session", _SESSIONS)
 def _session(spark, sf):
     from seedrank.streaming import windows
 
@@ -281,3 +383,25 @@ def _stream_sketch(spark, sf):
     from seedrank.streaming import windows
 
     return windows.replay_sketch(spark, sf, 20).members().select("assignment", "key", "weight", "pos")
+
+
+@query("q_stream_static_join", "SELECT d.day AS assignment, d.key, d.weight, c_mktsegment AS segment FROM (" + _DAILY + ") d LEFT JOIN customer ON CAST(c_custkey AS VARCHAR) = d.key")
+def _stream_static(spark, sf):
+    """Daily sums of users with the market segment of the customer of that number."""
+    from seedrank.streaming import windows
+
+    static = scan(spark, sf, "customer").select(F.col("c_custkey").cast("string").alias("key"), F.col("c_mktsegment").alias("segment"))
+    return windows.replay_with_attributes(spark, sf, static)
+
+
+_TWO_DAYS = ["2024-01-02", "2024-01-03"]
+_TWO_STREAMS = _STREAM_RANKED.replace("FROM (" + _DAILY + ")", "FROM (" + _DAILY + ") WHERE day IN ('2024-01-02', '2024-01-03')")
+
+
+@query("q_stream_two_windows", O.chain(_TWO_STREAMS, O.bottom_k(20), O.dispersed_cells(_TWO_DAYS), *_MAX_MIN, select="SELECT key, round(sum(a), 3) + 0.0 AS adjusted FROM (SELECT key, adjusted AS a FROM high UNION ALL SELECT key, -adjusted FROM low) GROUP BY 1"))
+def _stream_two(spark, sf):
+    """The change between two days that were sampled by two streams, which share nothing but the hash."""
+    from seedrank.streaming import windows
+
+    parts = [windows.replay_sketch(spark, sf, 20, F.to_date("ts") == F.lit(day).cast("date")) for day in _TWO_DAYS]
+    return E.l1(S.combine(*parts), _TWO_DAYS).select("key", (F.round("adjusted", 3) + F.lit(0.0)).alias("adjusted"))

@@ -1,14 +1,16 @@
 """The experiments: how variance and size move with sample size, coordination, weighting and estimator.
 
-Each query is a small table of measures, averaged over ``RUNS`` replications.  Variances are conditional
-ones (given the other keys' ranks), as logarithms to base ten, since they span many orders of magnitude.
+Each query is a small table of measures over five sample sizes, averaged over ``RUNS`` replications.  Variances are
+conditional ones (given the other keys' ranks), as logarithms to base ten, since they span many orders of
+magnitude.  The weights of a workload are read once and kept in flat columns; every design of samples then takes
+one pass over them for its thresholds and one for all measures and sizes.
 """
 
 from __future__ import annotations
 
 from functools import reduce
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from seedrank import oracles as O
@@ -16,270 +18,246 @@ from seedrank.functions import ranks as R
 from seedrank.operators import estimators as E
 from seedrank.operators import metrics as M
 from seedrank.operators import sketch as S
-from seedrank.plans.workloads import WORKLOADS, wide_weights
-from seedrank.queries import DAYS4, MONTHS2, MONTHS6, RUNS, WORDS, query
+from seedrank.operators.sweeps import Sweep, flat
+from seedrank.plans.workloads import WORKLOADS, long_weights, wide_weights
+from seedrank.queries import WORDS, query
+from seedrank.sources.store import staged
 
+RUNS = 25
 NAMES = {n: list(w.names) for n, w in WORKLOADS.items()}
+#: Sample sizes: those of sets with thousands of keys, and of sets of users, of whom a small scale has 150 (29 in an hour).
+LARGE, SMALL, TINY = (25, 50, 100, 200, 400), (10, 20, 30, 40, 60), (2, 3, 4, 5, 6)
+SHARED, INDEPENDENT = ("ipps", "shared"), ("ipps", "independent")
 
-# ---------------------------------------------------------------- measures, as plans and as SQL
-
-
-def cells_of(spark, sf, workload, names, k, family="ipps", joint="shared", unit=False) -> DataFrame:
-    ranked = R.rank_wide(wide_weights(spark, sf, workload, names), family, joint, runs=RUNS, unit=unit)
-    return E.full_cells(ranked, S.bottom_k(R.to_long(ranked), k, family, joint).meta, names)
-
-
-def _own_p(b: str, family: str):
-    def p(c: Column) -> Column:
-        own = F.element_at(F.filter(c, lambda x: x["b"] == b), 1)
-        return R.cdf(family, own["w"], own["theta"])
-
-    return p
-
-
-#: measure -> (function, probability) over (cells, names, family, joint)
-PLANS = {
-    "min_l": lambda n, fam, j: (E.f_min, lambda c: E.l_set_p(c, len(n), fam, j)),
-    "min_s": lambda n, fam, j: (E.f_min, lambda c: E.s_set_p(c, len(n), fam, j)),
-    "max": lambda n, fam, j: (E.f_max, lambda c: E.s_set_p(c, 1, fam, "shared")),
-    "unweighted_max": lambda n, fam, j: (E.f_max, lambda c: R.cdf(fam, F.lit(1.0), E.min_theta(c))),
-    "unweighted_min": lambda n, fam, j: (E.f_min, lambda c: R.cdf(fam, F.lit(1.0), E.min_theta(c))),
-    "inclusive_max": lambda n, fam, j: (E.f_max, lambda c: E.inclusive_p(c, fam, j)),
-    **{f"plain_{i}": lambda n, fam, j, i=i: (E.f_single(n[i]), _own_p(n[i], fam)) for i in range(12)},
-    **{f"inclusive_{i}": lambda n, fam, j, i=i: (E.f_single(n[i]), lambda c: E.inclusive_p(c, fam, j)) for i in range(12)},
+#: Dispersed sets: workload, numbers of its first assignments that are combined, sample sizes.
+DISPERSED = {
+    "months": [("part_months", (2, 6, 12), LARGE)],
+    "days": [("event_days", (2, 4, 5, 10, 15, 23), SMALL)],
+    "high": [("event_high", (2, 5, 10, 15, 23), SMALL)],
+    "pair_days": [("event_pair_days", (2, 4), SMALL)],
+    "hours": [("event_hours", (2, 4), TINY)],
+    "halves": [(f"halves_{x}", (2,), LARGE) for x in ("part_suppliers", "part_gross", "brand_lines", "brand_gross")],
+    "years": [("part_years", (2, 7), LARGE)],
+    "words": [("words", (2, 4), LARGE)],
 }
+#: Colocated sets and sample sizes.
+COLOCATED = {"pairs": LARGE, "parts": LARGE, "event_day3": SMALL, "event_pair_day3": SMALL, "ohlc": SMALL, "money": LARGE}
 
 
-def sv_many(spark, sf, workload, names, k, measures, family="ipps", joint="shared") -> DataFrame:
-    """(measure, log_sv, log_nsv): log10 of the sum of variances, and of its share of the squared total.
-
-    All measures come from one pass over the cells; unweighted ones have cells of their own.
-    """
-    kinds = [[m for m in measures if m.startswith("unweighted") == unit] for unit in (False, True)]
-    parts = [_sv_pass(cells_of(spark, sf, workload, names, k, family, joint, bool(i)), names, ms, family, joint) for i, ms in enumerate(kinds) if ms]
-    return reduce(DataFrame.unionByName, parts)
-
-
-def _sv_pass(cells: DataFrame, names, measures, family, joint) -> DataFrame:
-    c, sums = F.col("cells"), []
-    for m in measures:
-        if m in ("l1_l", "l1_s"):
-            low = E.l_set_p(c, len(names), family, joint) if m == "l1_l" else E.s_set_p(c, len(names), family, joint)
-            f, sv = E.f_l1(c), M.l1_variance(E.f_max(c), E.f_min(c), E.s_set_p(c, 1, family, joint), low)
-        else:
-            fn, p = PLANS[m](names, family, joint)
-            f, sv = fn(c).cast("double"), M.key_variance(fn(c).cast("double"), p(c))
-        sums += [F.sum(sv).alias(f"sv_{m}"), F.sum(f).alias(f"f_{m}")]
-    mean = cells.groupBy("run").agg(*sums).agg(*[F.avg(f"{x}_{m}").alias(f"{x}_{m}") for m in measures for x in ("sv", "f")])
-    row = lambda m: F.struct(F.lit(m).alias("measure"), F.log10(f"sv_{m}").alias("log_sv"), (F.log10(f"sv_{m}") - 2 * F.log10(f"f_{m}")).alias("log_nsv"))
-    return mean.select(F.inline(F.array(*[row(m) for m in measures])))
+class Design:
+    """One workload with samples of one design: its sweep, and the same in SQL under table names that begin with ``tag``."""
 
+    def __init__(self, tag: str, workload: str, names: list[str], ks, family: str = "ipps", joint: str = "shared", unit: bool = False):
+        self.tag, self.workload, self.names, self.ks, self.family, self.joint, self.unit = tag, workload, names, list(ks), family, joint, unit
 
-def sv_plan(spark, sf, workload, names, k, measure, family="ipps", joint="shared") -> DataFrame:
-    return sv_many(spark, sf, workload, names, k, [measure], family, joint).drop("measure")
+    def sweep(self, weights: DataFrame) -> Sweep:
+        return Sweep(weights, self.names, self.ks, self.family, self.joint, RUNS, self.unit)
 
+    def tables(self) -> list[str]:
+        return O.sweep(self.tag, self.workload, self.names, self.ks, self.family, self.joint, RUNS, self.unit)
 
-def ratio_rows(values: DataFrame, pairs: list[tuple]) -> DataFrame:
-    """One row for each (labels, over, under): difference of the logarithms of two measures."""
-    wide = values.agg(F.map_from_entries(F.collect_list(F.struct("measure", "log_sv"))).alias("v"))
-    rows = [F.struct(*[F.lit(x).alias(n) for n, x in labels.items()], F.round(F.col("v")[over] - F.col("v")[under], 5).alias("log_ratio")) for labels, over, under in pairs]
-    return wide.select(F.inline(F.array(*rows)))
+    def sums_sql(self, columns) -> str:
+        return O.sweep_sums(self.tag, self.names, columns, self.family, self.joint)
 
 
-def sv_sql(workload, names, k, measure, family="ipps", joint="shared") -> str:
-    unit = measure.startswith("unweighted")
-    each = O.cdf(family, "w", "theta")
-    own = lambda i: f"max(CASE WHEN b = '{names[i]}' THEN {each} END)"
-    val = lambda i: f"max(CASE WHEN b = '{names[i]}' THEN w END)"
-    tables = [O.ranked(workload, names, family, joint, runs=RUNS, unit=unit), O.bottom_k(k), O.full_cells(names, "value" if unit else "weight")]
-    low = {"l": f"min({each})" if joint == "shared" else f"product({each})", "s": O.cdf(family, "min(w)", "max(mt)")}
-    if measure in ("l1_l", "l1_s"):
-        g = f"g AS (SELECT run, key, max(w) AS h, min(w) AS l, {O.cdf(family, 'max(w)', 'max(mt)')} AS ph, {low[measure[-1]]} AS pl FROM o GROUP BY 1, 2)"
-        x = "x AS (SELECT run, h - l AS f, h / ph AS hi, CASE WHEN l > 0 THEN l / pl ELSE 0 END AS lo, CASE WHEN l > 0 THEN pl ELSE 0 END AS both_, ph FROM g WHERE h > 0)"
-        sv = "both_ * (hi - lo) * (hi - lo) + (ph - both_) * hi * hi - f * f"
-    else:
-        one = f"least(1.0, max(mt))" if family == "ipps" else "1 - exp(-max(mt))"
-        f, p = {
-            "min_l": ("min(w)", low["l"]), "min_s": ("min(w)", low["s"]), "max": ("max(w)", O.cdf(family, "max(w)", "max(mt)")),
-            "inclusive_max": ("max(w)", f"max({each})" if joint == "shared" else f"1 - product(1 - {each})"), "unweighted_max": ("max(w)", one), "unweighted_min": ("min(w)", one),
-        }.get(measure) or (val(int(measure.rpartition("_")[2])), own(int(measure.rpartition("_")[2])) if measure.startswith("plain") else (f"max({each})" if joint == "shared" else f"1 - product(1 - {each})"))
-        g = f"g AS (SELECT run, key, {f} AS f, {p} AS p FROM o GROUP BY 1, 2)"
-        x = "x AS (SELECT run, f, p FROM g WHERE f > 0)"
-        sv = "f * f * (1 / p - 1)"
-    return O.chain(*tables, g, x, select=f"SELECT log10(avg(sv)) AS log_sv, log10(avg(sv)) - 2 * log10((SELECT sum(f) FROM x WHERE run = 0)) AS log_nsv FROM (SELECT run, sum({sv}) AS sv FROM x GROUP BY 1)")
+def weights_of(spark, sf, workload: str, names: list[str]) -> DataFrame:
+    return staged(flat(long_weights(spark, sf, workload), names))
 
 
-class Table:
-    """A table of measures, row by row, and its SQL.  A row: labels, then columns of (plan, sql, name)."""
+def _log(x) -> "F.Column":
+    return F.when(x > 0, F.log10(x))
 
-    def __init__(self, *labels: str):
-        self.labels, self.rows = labels, []
 
-    def add(self, labels: tuple, value_plan, value_sql: str) -> None:
-        self.rows.append((labels, value_plan, value_sql))
+def _typed(v) -> str:
+    return f"CAST('{v}' AS VARCHAR)" if isinstance(v, str) else f"CAST({v} AS INTEGER)"
 
-    def _literals(self, labels):
-        return [F.lit(v).alias(n) for n, v in zip(self.labels, labels, strict=True)]
 
-    def plan(self, spark, sf) -> DataFrame:
-        parts = [p(spark, sf).select(*self._literals(v), "*") for v, p, _ in self.rows]
-        return reduce(DataFrame.unionByName, parts)
+def _rows(sums: DataFrame, rows: list[tuple[dict, list]]) -> DataFrame:
+    """One row for each size and each (labels, [(name, expression over the sums), ...])."""
+    cells = [F.struct(*[F.lit(v).alias(n) for n, v in labels.items()], F.col("k").alias("k"), *[x.alias(n) for n, x in values]) for labels, values in rows]
+    return sums.select(F.inline(F.array(*cells)))
 
-    def sql(self) -> str:
-        lit = lambda v: f"CAST('{v}' AS VARCHAR)" if isinstance(v, str) else f"CAST({v} AS INTEGER)"
-        return "\nUNION ALL\n".join(f"SELECT {', '.join(f'{lit(x)} AS {n}' for n, x in zip(self.labels, v, strict=True))}, * FROM ({s})" for v, _, s in self.rows)
 
-    def register(self, name: str, plan=None) -> None:
-        """``plan`` gives the same rows as the union of all parts, with less reading."""
-        query(name, self.sql())(plan or self.plan)
+def _rows_sql(source: str, rows: list[tuple[dict, list]]) -> str:
+    one = lambda labels, values: f"SELECT {', '.join([f'{_typed(v)} AS {n}' for n, v in labels.items()] + ['k'] + [f'{x} AS {n}' for n, x in values])} FROM {source}"
+    return "\nUNION ALL ".join(one(*r) for r in rows)
 
 
-def _single(workload, names, k, measure, family="ipps", joint="shared"):
-    def plan(spark, sf):
-        return sv_plan(spark, sf, workload, names, k, measure, family, joint).select(F.round("log_sv", 5).alias("log_sv"), F.round("log_nsv", 5).alias("log_nsv"))
+def _sql(designs: list[tuple[Design, list]], select: str, more: list[str] = ()) -> str:
+    return O.chain(*[t for d, columns in designs for t in [*d.tables(), d.sums_sql(columns)]], *more, select=select)
 
-    return plan, f"SELECT round(log_sv, 5) AS log_sv, round(log_nsv, 5) AS log_nsv FROM ({sv_sql(workload, names, k, measure, family, joint)})"
 
+def _union(parts: list[DataFrame]) -> DataFrame:
+    return reduce(DataFrame.unionByName, parts)
 
-def _ratio(workload, names, k, over: tuple, under: tuple):
-    """log10 of the ratio of two sums of variances; each: (measure, family, joint)."""
 
-    def plan(spark, sf):
-        a = sv_plan(spark, sf, workload, names, k, *over).select(F.col("log_sv").alias("a"))
-        b = sv_plan(spark, sf, workload, names, k, *under).select(F.col("log_sv").alias("b"))
-        return a.crossJoin(F.broadcast(b)).select(F.round(F.col("a") - F.col("b"), 5).alias("log_ratio"))
+def _log_sql(x: str) -> str:
+    return f"CASE WHEN {x} > 0 THEN log10({x}) END"
 
-    return plan, f"SELECT round(a - b, 5) AS log_ratio FROM (SELECT log_sv AS a FROM ({sv_sql(workload, names, k, *over)})), (SELECT log_sv AS b FROM ({sv_sql(workload, names, k, *under)}))"
 
+def compare(name: str, sets: list[tuple[dict, Design, list, Design, list]], label: list[str]) -> None:
+    """Register a table of log10(sum of variances of one design over that of another), for each size.
 
-SHARED, INDEPENDENT = ("ipps", "shared"), ("ipps", "independent")
+    A set: labels, then the design and measures above, then those below; both have as many measures as ``label`` rows.
+    The two designs are of one workload; equal ones are swept once.
+    """
 
-# independent over coordinated, for the minimum: grows with the number of assignments, falls with k
-_SETS = {"months": ("part_months", {2: MONTHS2, 6: MONTHS6, 12: NAMES["part_months"]}, (50, 200)), "days": ("event_days", {2: DAYS4[:2], 4: DAYS4, 23: NAMES["event_days"]}, (20, 50)), "halves": ("halves_part_gross", {2: ["h1", "h2"]}, (50, 200))}
-for _tag, (_w, _rs, _ks) in _SETS.items():
-    _t = Table("m", "k")
-    for _m, _r in _rs.items():
-        for _k in _ks:
-            _t.add((_m, _k), *_ratio(_w, _r, _k, ("min_l", *INDEPENDENT), ("min_l", *SHARED)))
-    _t.register(f"q_w9_ind_over_coord_{_tag}")
+    def plan(spark, sf) -> DataFrame:
+        parts = []
+        for labels, above, up, below, down in sets:
+            weights = weights_of(spark, sf, above.workload, above.names)
+            n = len(up)
+            if below is above:
+                both = above.sweep(weights).sums([*up, *down])
+                at = lambda j: (F.col(f"v{j}"), F.col(f"v{n + j}"))  # noqa: E731, B023
+            else:
+                under = below.sweep(weights).sums(down)
+                both = above.sweep(weights).sums(up).join(F.broadcast(under.select("k", *[F.col(f"v{j}").alias(f"u{j}") for j in range(n)])), "k")
+                at = lambda j: (F.col(f"v{j}"), F.col(f"u{j}"))
+            ratio = lambda j: F.round(_log(at(j)[0]) - _log(at(j)[1]), 5)  # noqa: E731, B023
+            parts.append(_rows(both, [({**labels, **(own or {})}, [("log_ratio", ratio(j))]) for j, own in enumerate(label[len(parts)])]))
+        return _union(parts)
+
+    texts, designs = [], []
+    for x, (labels, above, up, below, down) in enumerate(sets):
+        n = len(up)
+        if below is above:
+            designs.append((above, [*up, *down]))
+            source, at = f"{above.tag}s", lambda j: (f"v{j}", f"v{n + j}")  # noqa: B023
+        else:
+            designs += [(above, up), (below, down)]
+            source, at = f"{above.tag}s a JOIN {below.tag}s b USING (k)", lambda j: (f"a.v{j}", f"b.v{j}")
+        value = lambda j: f"round(({_log_sql(at(j)[0])}) - ({_log_sql(at(j)[1])}), 5)"  # noqa: E731, B023
+        texts.append(_rows_sql(source, [({**labels, **(own or {})}, [("log_ratio", value(j))]) for j, own in enumerate(label[x])]))
+    query(name, _sql(designs, "\nUNION ALL ".join(texts)))(plan)
+
+
+def measure(name: str, sets: list[tuple[dict, Design, list, list[dict]]]) -> None:
+    """Register a table of log10 of the sum of variances, as it is and over the squared total."""
+
+    def plan(spark, sf) -> DataFrame:
+        parts, known = [], {}
+        for labels, design, columns, own in sets:
+            if design.workload not in known:
+                known[design.workload] = weights_of(spark, sf, design.workload, design.names)
+            values = lambda j: [("log_sv", F.round(_log(F.col(f"v{j}")), 5)), ("log_nsv", F.round(_log(F.col(f"v{j}")) - 2 * _log(F.col(f"f{j}")), 5))]
+            parts.append(_rows(design.sweep(known[design.workload]).sums(columns), [({**labels, **x}, values(j)) for j, x in enumerate(own)]))
+        return _union(parts)
+
+    texts = []
+    for labels, design, columns, own in sets:
+        values = lambda j: [("log_sv", f"round({_log_sql(f'v{j}')}, 5)"), ("log_nsv", f"round(({_log_sql(f'v{j}')}) - 2 * ({_log_sql(f'f{j}')}), 5)")]
+        texts.append(_rows_sql(f"{design.tag}s", [({**labels, **x}, values(j)) for j, x in enumerate(own)]))
+    query(name, _sql([(d, c) for _, d, c, _ in sets], "\nUNION ALL ".join(texts)))(plan)
+
+
+for _tag, _sets in DISPERSED.items():
+    _w9, _w9l, _w11, _w12, _w12l, _w16, _w16l = [], [], [], [], [], [], []
+    for _i, (_w, _ms, _ks) in enumerate(_sets):
+        _names = NAMES[_w][: max(_ms)]
+        _first = {m: _names[:m] for m in _ms}
+        _make = lambda tag, fam="ipps", joint="shared", w=_w, n=_names, ks=_ks, i=_i: Design(f"{tag}{i}", w, n, ks, fam, joint)
+        # independent over coordinated, for the minimum: grows with the number of assignments, falls with k
+        _low = [("min_l", r) for r in _first.values()]
+        _w9.append(({"data": _w}, _make("i", joint="independent"), _low, _make("c"), _low))
+        _w9l.append([{"m": m} for m in _first])
+        # several assignments against one
+        _cols = [(f, m) for m in _first for f in ("min_l", "min_s", "max", "l1_l", "l1_s")]
+        for _family in R.FAMILIES:
+            _own = [(f"plain_{j}", len(_names)) for j in range(min(len(_names), 7))]
+            _w11.append(({"data": _w, "family": _family}, _make("x" if _family == "exp" else "y", _family), [(f, _names[:m]) for f, m in _cols + _own], [{"m": m if f in ("min_l", "min_s", "max", "l1_l", "l1_s") else 1, "measure": f} for f, m in _cols + _own]))
+        # the simple against the inclusive selection
+        _same = _make("c")
+        _w12.append(({"data": _w}, _same, [(f"{f}_s", r) for r in _first.values() for f in ("min", "l1")], _same, [(f"{f}_l", r) for r in _first.values() for f in ("min", "l1")]))
+        _w12l.append([{"m": m, "f": f} for m in _first for f in ("min", "l1")])
+        # the two rank families side by side
+        _fs = [(f, r) for r in _first.values() for f in ("max", "min_l", "l1_l")]
+        _w16.append(({"data": _w}, _make("x", "exp"), _fs, _make("y"), _fs))
+        _w16l.append([{"m": len(r), "f": f} for f, r in _fs])
+    compare(f"q_w9_ind_over_coord_{_tag}", _w9, _w9l)
+    measure(f"q_w11_multi_{_tag}", _w11)
+    compare(f"q_w12_s_over_l_{_tag}", _w12, _w12l)
+    compare(f"q_w16_exp_over_ipps_{_tag}", _w16, _w16l)
 
 # weighted against unweighted coordinated samples, on skewed weights
-_t = Table("f", "k")
-for _k in (50, 300):
-    for _f in ("max", "min"):
-        _t.add((_f, _k), *_ratio("words", WORDS, _k, (f"unweighted_{_f}", *SHARED), (_f if _f == "max" else "min_l", *SHARED)))
-_t.register("q_w10_unweighted_over_weighted")
-
-# several assignments against one
-for _tag, (_w, _r, _k) in {"months": ("part_months", MONTHS2, 100), "days": ("event_days", DAYS4, 40), "halves": ("halves_part_gross", ["h1", "h2"], 100), "high": ("event_high", DAYS4, 40)}.items():
-    for _family in R.FAMILIES:
-        _t = Table("measure", "k")
-        for _f in ("min_l", "min_s", "max", "l1_l", "l1_s", *(f"plain_{i}" for i in range(len(_r)))):
-            _t.add((_f, _k), *_single(_w, _r, _k, _f, _family))
-        _fs = [x[0][0] for x in _t.rows]
-        _t.register(
-            f"q_w11_multi_{_tag}_{_family}",
-            lambda spark, sf, a=(_w, _r, _k, _fs, _family): sv_many(spark, sf, *a).select("measure", F.lit(a[2]).alias("k"), F.round("log_sv", 5).alias("log_sv"), F.round("log_nsv", 5).alias("log_nsv")),
-        )
-
-# the simple against the inclusive selection
-_t = Table("data", "f", "k")
-_S_OVER_L = (("part_months", MONTHS6, 100), ("event_days", DAYS4, 40), ("halves_brand_lines", ["h1", "h2"], 100), ("words", WORDS, 100))
-
-
-def _s_over_l(spark, sf) -> DataFrame:
-    parts = []
-    for w, r, k in _S_OVER_L:
-        values = sv_many(spark, sf, w, r, k, ["min_s", "min_l", "l1_s", "l1_l"])
-        parts.append(ratio_rows(values, [({"data": w, "f": f, "k": k}, f"{f}_s", f"{f}_l") for f in ("min", "l1")]))
-    return reduce(DataFrame.unionByName, parts)
-
-
-for _w, _r, _k in _S_OVER_L:
-    for _f in ("min", "l1"):
-        _t.add((_w, _f, _k), *_ratio(_w, _r, _k, (f"{_f}_s", *SHARED), (f"{_f}_l", *SHARED)))
-_t.register("q_w12_s_over_l", _s_over_l)
-
-# inclusive against plain estimates of single assignments
-for _w, _k in (("pairs", 100), ("parts", 100), ("event_day3", 20), ("ohlc", 20), ("money", 100)):
-    for _joint in ("shared", "independent"):
-        _t = Table("assignment", "k")
-        for _i, _b in enumerate(NAMES[_w]):
-            _t.add((_b, _k), *_ratio(_w, NAMES[_w], _k, (f"inclusive_{_i}", "ipps", _joint), (f"plain_{_i}", "ipps", _joint)))
-        _t.register(
-            f"q_w13_inclusive_over_plain_{_w}_{_joint}",
-            lambda spark, sf, w=_w, k=_k, j=_joint: ratio_rows(
-                sv_many(spark, sf, w, NAMES[w], k, [f"{x}_{i}" for i in range(len(NAMES[w])) for x in ("inclusive", "plain")], "ipps", j),
-                [({"assignment": b, "k": k}, f"inclusive_{i}", f"plain_{i}") for i, b in enumerate(NAMES[w])],
-            ),
-        )
-
-
-# variance against storage: four estimators at the size of their samples
-def _size_sql(workload, names, k, joint) -> str:
-    return O.chain(O.ranked(workload, names, joint=joint, runs=RUNS), O.bottom_k(k), select="SELECT avg(n) AS keys FROM (SELECT run, count(DISTINCT key) AS n FROM ent WHERE member GROUP BY 1)")
-
-
-def _tradeoff(workload, names, k, measure, joint):
-    def plan(spark, sf):
-        size = M.combined_size(S.bottom_k(R.to_long(R.rank_wide(wide_weights(spark, sf, workload, names), "ipps", joint, runs=RUNS)), k, "ipps", joint)).agg(F.avg("keys").alias("keys"))
-        value = sv_plan(spark, sf, workload, names, k, measure, "ipps", joint)
-        return size.crossJoin(F.broadcast(value)).select(F.round("keys", 3).alias("keys"), F.round("log_nsv", 5).alias("log_nsv"))
-
-    return plan, f"SELECT round(keys, 3) AS keys, round(log_nsv, 5) AS log_nsv FROM ({_size_sql(workload, names, k, joint)}), ({sv_sql(workload, names, k, measure, 'ipps', joint)})"
-
-
-_t = Table("joint", "estimator", "k")
-for _joint in ("shared", "independent"):
-    for _kind in ("inclusive", "plain"):
-        for _k in (25, 100):
-            _t.add((_joint, _kind, _k), *_tradeoff("parts", NAMES["parts"], _k, f"{_kind}_0", _joint))
-_t.register("q_w14_tradeoff")
-
-# the sharing index as k grows
-_SIZES = (10, 50, 200)
-_t = Table("data", "joint", "k")
-for _w in ("parts", "pairs"):
+compare(
+    "q_w10_unweighted_over_weighted",
+    [({"data": "words"}, Design("u", "words", WORDS, LARGE, unit=True), [("unweighted_max", WORDS), ("unweighted_min", WORDS)], Design("c", "words", WORDS, LARGE), [("max", WORDS), ("min_l", WORDS)])],
+    [[{"f": "max"}, {"f": "min"}]],
+)
+
+
+def tradeoff(w: str, ks) -> None:
+    """Register variance against storage: single assignments from inclusive and plain estimates, at the size of the samples."""
+    names = NAMES[w]
+    designs = [(j, Design(f"t{j[0]}", w, names, ks, "ipps", j)) for j in ("shared", "independent")]
+    columns = [(f"{kind}_{i}", names) for i in range(len(names)) for kind in ("inclusive", "plain")]
+    labels = lambda j: [{"joint": j, "assignment": b, "estimator": kind} for b in names for kind in ("inclusive", "plain")]
+
+    def plan(spark, sf) -> DataFrame:
+        weights, parts = weights_of(spark, sf, w, names), []
+        for joint, design in designs:
+            sweep = design.sweep(weights)
+            both = sweep.sums(columns).join(F.broadcast(sweep.sizes()), "k")
+            values = lambda i: [("keys", F.round("keys", 3)), ("storage", F.col("k") * len(names)), ("log_nsv", F.round(_log(F.col(f"v{i}")) - 2 * _log(F.col(f"f{i}")), 5))]
+            parts.append(_rows(both, [(x, values(i)) for i, x in enumerate(labels(joint))]))
+        return _union(parts)
+
+    values = lambda i: [("keys", "round(keys, 3)"), ("storage", f"CAST(k * {len(names)} AS INTEGER)"), ("log_nsv", f"round(({_log_sql(f'v{i}')}) - 2 * ({_log_sql(f'f{i}')}), 5)")]
+    texts = [_rows_sql(f"{d.tag}s JOIN {d.tag}z USING (k)", [(x, values(i)) for i, x in enumerate(labels(j))]) for j, d in designs]
+    query(f"q_w14_tradeoff_{w}", _sql([(d, columns) for _, d in designs], "\nUNION ALL ".join(texts), [O.sweep_sizes(d.tag, ks) for _, d in designs]))(plan)
+
+
+def sharing(w: str, ks) -> None:
+    """Register the sharing index (distinct keys over k times assignments), and the entries that separate samples keep."""
+    names = NAMES[w]
+    designs = [(j, Design(f"t{j[0]}", w, names, ks, "ipps", j)) for j in ("shared", "independent")]
+
+    def plan(spark, sf) -> DataFrame:
+        weights = weights_of(spark, sf, w, names)
+        row = lambda j, d: d.sweep(weights).sizes().select(F.lit(j).alias("joint"), "k", F.round("keys", 3).alias("keys"), (F.col("k") * len(names)).alias("entries"), F.round(F.col("keys") / (F.col("k") * len(names)), 9).alias("sharing_index"))
+        return _union([row(j, d) for j, d in designs])
+
+    texts = [f"SELECT CAST('{j}' AS VARCHAR) AS joint, k, round(keys, 3) AS keys, CAST(k * {len(names)} AS INTEGER) AS entries, round(keys / (k * {float(len(names))}), 9) AS sharing_index FROM {d.tag}z" for j, d in designs]
+    query(f"q_w15_sharing_{w}", O.chain(*[t for _, d in designs for t in [*d.tables()[:3], O.sweep_sizes(d.tag, ks)]], select="\nUNION ALL ".join(texts)))(plan)
+
+
+for _w, _ks in COLOCATED.items():
+    # inclusive against plain estimates of single assignments, under both rank families
+    _sets, _labels = [], []
     for _joint in ("shared", "independent"):
-        for _k in _SIZES:
-            _t.add((_w, _joint, _k), None, f"SELECT round(keys / {float(_k * len(NAMES[_w]))}, 9) AS sharing_index FROM ({_size_sql(_w, NAMES[_w], _k, _joint)})")
-
-
-def _sharing(spark, sf) -> DataFrame:
-    """A key is in the union at size k if its best place is k at most; so one sample serves all sizes."""
-    parts = []
-    for w in ("parts", "pairs"):
-        for joint in ("shared", "independent"):
-            m = len(NAMES[w])
-            sketch = S.bottom_k(R.to_long(R.rank_wide(wide_weights(spark, sf, w, NAMES[w]), "ipps", joint, runs=RUNS)), max(_SIZES), "ipps", joint)
-            best = sketch.members().groupBy("run", "key").agg(F.min("pos").alias("best"))
-            mean = best.groupBy("run").agg(*[F.count_if(F.col("best") <= k).alias(f"n{k}") for k in _SIZES]).agg(*[F.avg(f"n{k}").alias(f"n{k}") for k in _SIZES])
-            row = lambda k: F.struct(F.lit(w).alias("data"), F.lit(joint).alias("joint"), F.lit(k).alias("k"), F.round(F.col(f"n{k}") / (k * m), 9).alias("sharing_index"))  # noqa: E731, B023
-            parts.append(mean.select(F.inline(F.array(*[row(k) for k in _SIZES]))))
-    return reduce(DataFrame.unionByName, parts)
+        for _family in R.FAMILIES:
+            _d = Design(_joint[0] + _family[0], _w, NAMES[_w], _ks, _family, _joint)
+            _sets.append(({"joint": _joint, "family": _family}, _d, [(f"inclusive_{i}", NAMES[_w]) for i in range(len(NAMES[_w]))], _d, [(f"plain_{i}", NAMES[_w]) for i in range(len(NAMES[_w]))]))
+            _labels.append([{"assignment": b} for b in NAMES[_w]])
+    compare(f"q_w13_inclusive_over_plain_{_w}", _sets, _labels)
+    tradeoff(_w, _ks)
+    sharing(_w, _ks)
 
+# the generic selection (that of the maximum) against the inclusive one, where whole vectors are known
+_d11 = [Design(f"g{i}", w, NAMES[w][:4], ks) for i, (w, ks) in enumerate((("part_months", LARGE), ("event_days", SMALL)))]
+compare("q_d11_generic_over_inclusive", [({"data": d.workload}, d, [("max", d.names)], d, [("inclusive_max", d.names)]) for d in _d11], [[None], [None]])
 
-_t.register("q_w15_sharing_index", _sharing)
+# inclusive estimates of maxima under both coordinated designs of exponential ranks
+_IND_KS = (50, 200)
 
-# the two rank families side by side
-_t = Table("f", "k")
-for _f in ("max", "min_l"):
-    for _k in (50, 200):
-        _t.add((_f, _k), *_ratio("part_months", MONTHS2, _k, (_f, "exp", "shared"), (_f, "ipps", "shared")))
-_t.register("q_w16_exp_over_ipps")
 
-# the generic selection (that of the maximum) against the inclusive one, where whole vectors are known
-_t = Table("data", "k")
-for _w, _k in (("part_months", 100), ("event_days", 20)):
-    _t.add((_w, _k), *_ratio(_w, NAMES[_w][:4], _k, ("max", *SHARED), ("inclusive_max", *SHARED)))
-_t.register("q_d11_generic_over_inclusive")
+def _inddiff_sql(joint: str, k: int) -> str:
+    names = NAMES["part_months"][:4]
+    p = O.inclusive("exp", joint, "mx")
+    return O.chain(O.ranked("part_months", names, "exp", joint, runs=5), O.bottom_k(k), O.full_cells(names), p.rpartition("adj AS")[0].rstrip(",\n "), select="SELECT log10(avg(sv)) AS v FROM (SELECT run, sum(CASE WHEN mx > 0 THEN mx * mx * (1 / p - 1) ELSE 0 END) AS sv FROM g GROUP BY 1)")
 
 
-@query("q_d11_inddiff_over_shared")
+@query("q_d11_inddiff_over_shared", "\nUNION ALL ".join(f"SELECT CAST({k} AS INTEGER) AS k, round(a.v - b.v, 5) AS log_ratio FROM ({_inddiff_sql('inddiff', k)}) a, ({_inddiff_sql('shared', k)}) b" for k in _IND_KS))
 def _inddiff_over_shared(spark, sf):
-    """Inclusive estimates of maxima under both coordinated designs of exponential ranks."""
     names, parts = NAMES["part_months"][:4], []
-    for k in (50, 200):
-        a, b = (sv_plan(spark, sf, "part_months", names, k, "inclusive_max", "exp", j).select(F.col("log_sv").alias(j)) for j in ("inddiff", "shared"))
-        parts.append(a.crossJoin(F.broadcast(b)).select(F.lit(k).alias("k"), F.round(F.col("inddiff") - F.col("shared"), 5).alias("log_ratio")))
-    return reduce(DataFrame.unionByName, parts)
+    vectors = staged(wide_weights(spark, sf, "part_months", names))
+    for k in _IND_KS:
+        values = []
+        for joint in ("inddiff", "shared"):
+            ranked = R.rank_wide(vectors, "exp", joint, runs=5)
+            cells = E.full_cells(ranked, S.bottom_k(R.to_long(ranked), k, "exp", joint).meta, names)
+            sv = M.conditional_variance(cells, E.f_max, lambda c, j=joint: E.inclusive_p(c, "exp", j))
+            values.append(sv.agg(F.log10(F.avg("sv")).alias(joint)))
+        parts.append(values[0].crossJoin(F.broadcast(values[1])).select(F.lit(k).alias("k"), F.round(F.col("inddiff") - F.col("shared"), 5).alias("log_ratio")))
+    return _union(parts)

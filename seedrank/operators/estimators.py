@@ -21,6 +21,10 @@ from seedrank.operators.sketch import Sketch
 INF = R.INFINITY
 
 
+#: Keys of a sample of fixed size at most: its estimator compares all pairs of them.
+FIXED_BUDGET = 5000
+
+
 class NoEstimator(ValueError):
     """The quantity has no unbiased non-negative estimator from such a sample."""
 
@@ -252,9 +256,15 @@ def _check_top(sketch: Sketch, ell: int, m: int, kind: str) -> None:
         raise NoEstimator("the l-set needs the seeds of unsampled weights")
 
 
+def _check_function(f) -> None:
+    if f is f_l1:
+        raise NoEstimator("the range is no function of the heaviest weights alone; l1 takes it as a difference")
+
+
 def s_set(sketch: Sketch, relevant: list[str], ell: int, f: Callable[[Column], Column] | None = None, d: Callable[[Column], Column] | None = None) -> DataFrame:
     """A function of the ``ell`` heaviest weights, counted where all of them beat the least threshold."""
     m = len(relevant)
+    _check_function(f)
     _check_top(sketch, ell, m, "s")
     rows, cells = dispersed_cells(sketch, relevant), F.col("cells")
     value = (f or f_lth(ell))(cells)
@@ -264,6 +274,7 @@ def s_set(sketch: Sketch, relevant: list[str], ell: int, f: Callable[[Column], C
 def l_set(sketch: Sketch, relevant: list[str], ell: int, f: Callable[[Column], Column] | None = None, d: Callable[[Column], Column] | None = None) -> DataFrame:
     """The same, counted wherever the sample determines the ``ell`` heaviest weights: the most inclusive choice."""
     m = len(relevant)
+    _check_function(f)
     _check_top(sketch, ell, m, "l")
     rows, cells = dispersed_cells(sketch, relevant), F.col("cells")
     if sketch.joint == "shared":
@@ -333,6 +344,8 @@ def inclusive_fixed(ranked: DataFrame, sketch: Sketch, names: list[str], k: int,
     place stands l1: the largest size at which the union over the *other* keys stays below the budget.
     """
     budget = len(names) * k
+    if budget > FIXED_BUDGET:
+        raise ValueError(f"a sample of more than {FIXED_BUDGET} keys; the places of all others are compared for each of them")
     rows = sketch.entries.select("run", "assignment", "key", "rank", "pos")
     keys = rows.where(F.col("pos") <= F.lit(budget)).select("run", "key").distinct()
     mine = rows.select("run", F.col("key").alias("me"), "assignment", F.col("pos").alias("at"))

@@ -97,19 +97,31 @@ def usable_for_max(sketch: Sketch, relevant: list[str]) -> DataFrame:
     return E.maximum(sketch, relevant).groupBy("run").agg(F.count(F.lit(1)).alias("keys"))
 
 
-def bound_violations(full: DataFrame, family: str) -> DataFrame:
-    """Counts of keys that break what theory says of a key's probabilities (shared seeds; all zero)."""
+def bound_violations(full: DataFrame, family: str, primary: DataFrame) -> DataFrame:
+    """Counts of keys that break what theory says of a key's probabilities and variances (shared seeds; all zero).
+
+    ``primary``: thresholds by run of a sample drawn with the maximum itself as weight.
+    """
     cells, eps = F.col("cells"), 1e-12
-    m = F.size(cells)
     each = F.transform(cells, lambda c: R.cdf(family, c["w"], c["theta"]))
-    incl, high = E.inclusive_p(cells, family, "shared"), E.s_set_p(cells, 1, family, "shared")
-    rows = full.withColumn("each", each).withColumn("incl", incl).withColumn("high", high)
-    least = F.array_min("each")
-    low_s = R.cdf(family, E.f_min(cells), E.min_theta(cells))
+    own = F.array_min(F.transform(cells, lambda c: c["rank"]))
+    rows = full.join(F.broadcast(primary.select("run", "rk", "rk1")), "run")
+    high, low, near = E.f_max(cells), E.f_min(cells), E.min_theta(cells)
+    rows = rows.select(
+        each.alias("each"), E.inclusive_p(cells, family, "shared").alias("incl"), E.generic_p(cells, family).alias("generic"), high.alias("h"), low.alias("l"),
+        R.cdf(family, high, near).alias("ph"), R.cdf(family, low, near).alias("ps"), R.cdf(family, high, F.when(own < F.col("rk1"), F.col("rk1")).otherwise(F.col("rk"))).alias("pt"),
+    ).withColumn("pl", F.array_min("each"))
+    v = {"h": key_variance(F.col("h"), F.col("ph")), "l": key_variance(F.col("l"), F.col("pl")), "t": key_variance(F.col("h"), F.col("pt")), "c": key_variance(F.col("h"), F.col("incl")), "r": key_variance(F.col("h") - F.col("l"), F.col("incl"))}
+    rows = rows.select("*", *[x.alias(f"v{n}") for n, x in v.items()], l1_variance(F.col("h"), F.col("l"), F.col("ph"), F.col("pl")).alias("vd"))
+    above = lambda a, b: F.count_if(a > b + 1e-9 * (1 + F.abs(b)))
     return rows.agg(
         F.count_if(F.exists("each", lambda p: p > F.col("incl") + eps)).alias("plain_above_inclusive"),
-        F.count_if(E.generic_p(cells, family) > F.col("incl") + eps).alias("generic_above_inclusive"),
-        F.count_if(low_s > least + eps).alias("s_above_l"),
-        F.count_if(low_s > F.col("high") + eps).alias("min_above_max"),
-        F.count_if(m < 1).alias("empty"),
+        F.count_if(F.col("generic") > F.col("incl") + eps).alias("generic_above_inclusive"),
+        F.count_if(F.col("ps") > F.col("pl") + eps).alias("s_above_l"),
+        F.count_if(F.col("ps") > F.col("ph") + eps).alias("min_above_max"),
+        above(F.col("vh"), F.col("vt")).alias("max_above_primary"),
+        above(F.col("vc"), F.col("vh")).alias("colocated_above_dispersed"),
+        above(F.col("vr"), F.col("vc")).alias("colocated_l1_above_max"),
+        above(F.col("vd"), F.col("vh") + F.col("vl")).alias("l1_above_sum"),
+        F.count_if((F.col("l") > 0) & (F.col("l") / F.col("pl") > F.col("h") / F.col("ph") * (1 + 1e-9))).alias("l1_negative"),
     )

@@ -51,6 +51,29 @@ def _size(k) -> tuple[int, Column]:
     return k, F.lit(k)
 
 
+#: Parts that the rows of one group are dealt to where Spark does not prune a window by its limit.
+SPREAD = 64
+
+
+def _pruned(rows: DataFrame, n: int) -> bool:
+    """Whether Spark keeps the first ``n`` rows of each group in every partition before it shuffles."""
+    return n <= int(rows.sparkSession.conf.get("spark.sql.optimizer.windowGroupLimitThreshold", "1000"))
+
+
+def first_rows(rows: DataFrame, group: list[str], order: list, n: int, name: str = "pos") -> DataFrame:
+    """``rows`` of the ``n`` first places of each group, with the place as ``name``.
+
+    Up to the limit of Spark's pruning a window limit does it.  Beyond it the rows of a group are
+    dealt by key to ``SPREAD`` parts, each part keeps its ``n`` first, and only those meet in one task.
+    """
+    if not _pruned(rows, n):
+        part = F.pmod(F.xxhash64("key"), F.lit(SPREAD))
+        rows = rows.withColumn("part_", part)
+        inside = F.row_number().over(Window.partitionBy(*group, "part_").orderBy(*order))
+        rows = rows.withColumn("inside_", inside).where(F.col("inside_") <= n).drop("part_", "inside_")
+    return rows.withColumn(name, F.row_number().over(Window.partitionBy(*group).orderBy(*order))).where(F.col(name) <= n)
+
+
 def prefilter(ranked: DataFrame, k: int, slack: int = 4) -> DataFrame:
     """``ranked`` without the rows that cannot be among the k+1 smallest ranks of their assignment.
 
@@ -65,15 +88,18 @@ def prefilter(ranked: DataFrame, k: int, slack: int = 4) -> DataFrame:
     return ranked.join(F.broadcast(bounds), GROUP).where(F.col("rank") < F.col("bound")).drop("bound")
 
 
-def bottom_k(ranked: DataFrame, k, family: str = "ipps", joint: str = "shared", salt: str = "v1", known_seeds: bool = True, early: bool = False) -> Sketch:
+def bottom_k(ranked: DataFrame, k, family: str = "ipps", joint: str = "shared", salt: str = "v1", known_seeds: bool = True, early: bool | None = None) -> Sketch:
     """The k smallest ranks of each assignment (``k``: a number, or a map from assignment to number).
 
     ``early`` puts the threshold prefilter in front; without it the window limit prunes each partition.
+    Left open, it stands for sizes that the window limit does not serve, so that what is shuffled and
+    sorted is in proportion to k at any size.
     """
     most, own = _size(k)
+    if early is None:
+        early = not _pruned(ranked, most + 1)
     rows = prefilter(ranked, most) if early else ranked
-    place = F.row_number().over(Window.partitionBy(*GROUP).orderBy("rank", "key"))
-    rows = rows.withColumn("pos", place).where(F.col("pos") <= most + 1).where(F.col("pos") <= own + 1)
+    rows = first_rows(rows, GROUP, ["rank", "key"], most + 1).where(F.col("pos") <= own + 1)
     entries = rows.withColumn("member", F.col("pos") <= own)
     group = Window.partitionBy(*GROUP)
     at = lambda n: F.coalesce(F.max(F.when(F.col("pos") == n, F.col("rank"))).over(group), F.lit(INF))
@@ -108,8 +134,7 @@ def ipps_tau(weights: DataFrame, k: int) -> DataFrame:
     """
     positive = weights.where(F.col("weight") > 0)
     total = positive.groupBy("assignment").agg(F.sum(F.col("weight").cast("double")).alias("total"), F.count(F.lit(1)).alias("n"))
-    place = Window.partitionBy("assignment").orderBy(F.col("weight").desc(), "key")
-    top = positive.select("assignment", "weight", "key", F.row_number().over(place).alias("j")).where(F.col("j") <= k)
+    top = first_rows(positive.select("assignment", "weight", "key"), ["assignment"], [F.col("weight").desc(), "key"], k, "j")
     run = Window.partitionBy("assignment").orderBy("j")
     # with the j-1 heaviest certain, the rest share k-j+1
     step = top.join(F.broadcast(total), "assignment").withColumn("rest", F.col("total") - F.sum(F.col("weight").cast("double")).over(run) + F.col("weight"))

@@ -149,3 +149,60 @@ def chain(*tables: str, select: str) -> str:
 
 
 ROWS = "SELECT run, key, round(f, 4) AS f, round(p, 9) AS p, round(adjusted, 3) AS adjusted FROM adj"
+
+
+def sweep(tag: str, workload: str, names, ks, family="ipps", joint="shared", runs=25, unit=False) -> list[str]:
+    """Tables <tag>p (places of the smallest ranks) and <tag>e (keys with weights, thresholds and probabilities for each size)."""
+    s = "'v1#' || CAST(run AS VARCHAR)"
+    seed = uniform(s, "key") if joint == "shared" else uniform(s, "assignment", "key")
+    of = lambda b, x, none: f"coalesce(max(CASE WHEN assignment = '{b}' THEN {x} END), {none})"
+    m, sizes = range(len(names)), ", ".join(f"({k})" for k in ks)
+    th = lambda b, step: f"coalesce(max(CASE WHEN assignment = '{b}' AND pos = k{step} THEN rank END), {INF})"
+    return [
+        f"{tag}w AS (SELECT assignment, key, CAST(weight AS DOUBLE) AS weight FROM ({WORKLOADS[workload].sql}) WHERE assignment IN {_in(names)} AND weight > 0)",
+        f"{tag}r AS MATERIALIZED (SELECT run, assignment, key, weight, {rank_of(family, '1.0' if unit else 'weight', seed)} AS rank FROM {tag}w, (SELECT unnest(range(0, {runs})) AS run))",
+        f"{tag}p AS MATERIALIZED (SELECT run, assignment, key, rank, row_number() OVER (PARTITION BY run, assignment ORDER BY rank, key) AS pos FROM {tag}r QUALIFY pos <= {max(ks) + 1})",
+        f"{tag}t AS (SELECT k, run, {', '.join(f'{th(b, x)} AS {n}{i}' for i, b in enumerate(names) for n, x in (('lo', ''), ('hi', ' + 1')))} FROM {tag}p, (VALUES {sizes}) z(k) GROUP BY 1, 2)",
+        f"{tag}f AS (SELECT run, key, {', '.join(f'{of(b, x, none)} AS {n}{i}' for i, b in enumerate(names) for n, x, none in (('w', 'weight', '0.0'), ('r', 'rank', INF)))} FROM {tag}r GROUP BY 1, 2)",
+        f"{tag}c AS (SELECT run, k, {', '.join(f'w{i}, CASE WHEN r{i} < hi{i} THEN hi{i} ELSE lo{i} END AS t{i}' for i in m)} FROM {tag}f JOIN {tag}t USING (run))",
+        f"{tag}e AS (SELECT *, {', '.join(cdf(family, f'w{i}', f't{i}') + f' AS e{i}' for i in m)} FROM {tag}c)",
+    ]
+
+
+def _measure(kind: str, at: list[int], family: str, joint: str) -> tuple[str, str]:
+    """The function of a key and the variance of its adjusted value, over the columns of a sweep."""
+    each = lambda c: [f"{c}{i}" for i in at]
+    of = lambda fn, c: f"{fn}({', '.join(each(c))})" if len(at) > 1 else each(c)[0]
+    high, low, near = of("greatest", "w"), of("least", "w"), of("least", "t")
+    every = "(" + " * ".join(each("e")) + ")" if joint == "independent" else of("least", "e")
+    any_ = "(1 - " + " * ".join(f"(1 - e{i})" for i in at) + ")" if joint == "independent" else of("greatest", "e")
+    if kind in ("l1_l", "l1_s"):
+        ph, pl = cdf(family, high, near), every if kind == "l1_l" else cdf(family, low, near)
+        both = f"(CASE WHEN {low} > 0 THEN {pl} ELSE 0 END)"
+        gap = f"({high} / {ph} - CASE WHEN {low} > 0 THEN {low} / {pl} ELSE 0 END)"
+        return f"({high} - {low})", f"CASE WHEN {high} > 0 THEN {both} * {gap} * {gap} + ({ph} - {both}) * ({high} / {ph}) * ({high} / {ph}) - ({high} - {low}) * ({high} - {low}) ELSE 0 END"
+    if kind.startswith(("plain_", "inclusive_")) and kind.rpartition("_")[2].isdigit():
+        i = at[int(kind.rpartition("_")[2])]
+        f, p = f"w{i}", f"e{i}" if kind.startswith("plain") else any_
+    else:
+        f, p = {
+            "min_l": (low, every), "min_s": (low, cdf(family, low, near)), "max": (high, cdf(family, high, near)), "inclusive_max": (high, any_),
+            "unweighted_max": (high, cdf(family, "1.0", near)), "unweighted_min": (low, cdf(family, "1.0", near)),
+        }[kind]
+    return f, f"CASE WHEN {f} > 0 THEN {f} * {f} * (1 / {p} - 1) ELSE 0 END"
+
+
+def sweep_sums(tag: str, names, columns, family="ipps", joint="shared") -> str:
+    """Table <tag>s: for each (measure, names) the sum of variances v<j> and that of the function f<j>, by size."""
+    parts = []
+    for j, (kind, part) in enumerate(columns):
+        f, v = _measure(kind, [list(names).index(b) for b in part], family, joint)
+        parts += [f"sum({v}) AS v{j}", f"sum({f}) AS f{j}"]
+    means = ", ".join(f"avg({x}{j}) AS {x}{j}" for j in range(len(columns)) for x in "vf")
+    return f"{tag}s AS (SELECT k, {means} FROM (SELECT run, k, {', '.join(parts)} FROM {tag}e GROUP BY 1, 2) GROUP BY 1)"
+
+
+def sweep_sizes(tag: str, ks) -> str:
+    """Table <tag>z: distinct keys of all samples, by size."""
+    sizes = ", ".join(f"({k})" for k in ks)
+    return f"{tag}z AS (SELECT k, avg(n) AS keys FROM (SELECT k, run, count(DISTINCT key) AS n FROM {tag}p, (VALUES {sizes}) z(k) WHERE pos <= k GROUP BY 1, 2) GROUP BY 1)"

@@ -45,6 +45,12 @@ def _event_days(key, weight):
     return plan
 
 
+def _event_hours(spark, sf):
+    """The first four hours of one day: few keys, and hardly any that two hours share."""
+    rows = scan(spark, sf, "events").where((F.col("ts") >= "2024-01-03") & (F.col("ts") < "2024-01-03 04:00:00"))
+    return W.aggregate(rows, F.concat(F.lit("h"), F.lpad(F.hour("ts").cast("string"), 2, "0")), F.col("user_id"), F.sum(cents(F.col("value"))))
+
+
 def _halves(key, weight):
     """Rows in the order of shipping, cut into two halves of equal number.
 
@@ -64,7 +70,8 @@ def _halves(key, weight):
         inside = marked.where(F.col("day") == F.col("cut")).withColumn("half", F.when(F.row_number().over(order) <= F.col("room"), "h1").otherwise("h2"))
         outside = marked.where(F.col("day") != F.col("cut")).withColumn("half", F.when(F.col("day") < F.col("cut"), "h1").otherwise("h2"))
         both = outside.unionByName(inside)
-        both = both.join(F.broadcast(scan(spark, sf, "part").select(F.col("p_partkey").alias("l_partkey"), "p_brand")), "l_partkey") if "brand" in key.__name__ else both
+        # parts grow with the data: whether they are broadcast is left to their size
+        both = both.join(scan(spark, sf, "part").select(F.col("p_partkey").alias("l_partkey"), "p_brand"), "l_partkey") if "brand" in key.__name__ else both
         return W.aggregate(both, F.col("half"), key(), weight())
 
     return plan
@@ -105,6 +112,19 @@ def _event_day3(spark, sf):
     return _unpivot(wide, ["value", "events", "types", "uniform"])
 
 
+def _event_pair_day3(spark, sf):
+    rows = scan(spark, sf, "events").where((F.col("ts") >= "2024-01-03") & (F.col("ts") < "2024-01-04"))
+    wide = rows.groupBy(W.composite_key(F.col("user_id"), F.col("event_type")).alias("key")).agg(
+        F.sum(cents(F.col("value"))).alias("value"), F.count(F.lit(1)).alias("events"), F.count_distinct(F.get_json_object("props", "$.k")).alias("kinds"), F.lit(1).alias("uniform")
+    )
+    return _unpivot(wide, ["value", "events", "kinds", "uniform"])
+
+
+def _supplier_parts(spark, sf):
+    """Suppliers as assignments of parts, for similarity of pairs."""
+    return W.aggregate(scan(spark, sf, "lineitem"), F.col("l_suppkey"), F.col("l_partkey"), F.sum(F.col("l_quantity").cast("bigint")))
+
+
 def _ohlc(spark, sf):
     rows = scan(spark, sf, "events").where((F.col("ts") >= "2024-01-01") & (F.col("ts") < "2024-01-02")).withColumn("c", cents(F.col("value")))
     at = F.struct("ts", "event_id")
@@ -132,7 +152,7 @@ def _moments(spark, sf):
 
 def _baskets(spark, sf):
     brand = scan(spark, sf, "part").select(F.col("p_partkey").alias("l_partkey"), "p_brand")
-    rows = scan(spark, sf, "lineitem").join(F.broadcast(brand), "l_partkey")
+    rows = scan(spark, sf, "lineitem").join(brand, "l_partkey")
     return W.aggregate(rows, F.col("p_brand"), F.col("l_orderkey"), F.count(F.lit(1)))
 
 
@@ -170,9 +190,24 @@ WORKLOADS: dict[str, Workload] = {
     "part_years": Workload(_years, f"SELECT 'y' || CAST(year(l_shipdate) AS VARCHAR) AS assignment, CAST(l_partkey AS VARCHAR) AS key, CAST(sum({_PRICE}) AS BIGINT) AS weight FROM lineitem GROUP BY 1, 2", tuple(f"y{y}" for y in range(1995, 2002))),
     "event_days": Workload(_event_days(lambda: F.col("user_id"), lambda: F.sum(cents(F.col("value")))), f"SELECT d AS assignment, CAST(user_id AS VARCHAR) AS key, CAST(sum({_VALUE}) AS BIGINT) AS weight FROM {_DAYS} GROUP BY 1, 2", _DAY_NAMES),
     "event_pair_days": Workload(_event_days(lambda: W.composite_key(F.col("user_id"), F.col("event_type")), lambda: F.sum(cents(F.col("value")))), f"SELECT d AS assignment, concat_ws('|', CAST(user_id AS VARCHAR), event_type) AS key, CAST(sum({_VALUE}) AS BIGINT) AS weight FROM {_DAYS} GROUP BY 1, 2", _DAY_NAMES),
+    "event_hours": Workload(
+        _event_hours,
+        f"SELECT 'h' || lpad(CAST(hour(ts) AS VARCHAR), 2, '0') AS assignment, CAST(user_id AS VARCHAR) AS key, CAST(sum({_VALUE}) AS BIGINT) AS weight FROM events WHERE ts >= '2024-01-03' AND ts < '2024-01-03 04:00:00' GROUP BY 1, 2",
+        ("h00", "h01", "h02", "h03"),
+    ),
+    "event_pair_day3": Workload(
+        _event_pair_day3,
+        _wide_sql(
+            ["value", "events", "kinds", "uniform"],
+            f"SELECT concat_ws('|', CAST(user_id AS VARCHAR), event_type) AS key, sum({_VALUE}) AS value, count(*) AS events, count(DISTINCT json_extract_string(props, '$.k')) AS kinds, 1 AS uniform FROM events WHERE ts >= '2024-01-03' AND ts < '2024-01-04' GROUP BY 1",
+        ),
+        ("value", "events", "kinds", "uniform"),
+    ),
+    "supplier_parts": Workload(_supplier_parts, "SELECT CAST(l_suppkey AS VARCHAR) AS assignment, CAST(l_partkey AS VARCHAR) AS key, CAST(sum(CAST(l_quantity AS BIGINT)) AS BIGINT) AS weight FROM lineitem GROUP BY 1, 2", ()),
     "event_high": Workload(_event_days(lambda: F.col("user_id"), lambda: F.max(cents(F.col("value")))), f"SELECT d AS assignment, CAST(user_id AS VARCHAR) AS key, max({_VALUE}) AS weight FROM {_DAYS} GROUP BY 1, 2", _DAY_NAMES),
     "halves_part_gross": Workload(_halves(_by_part, lambda: F.sum(cents(F.col("l_extendedprice")))), f"SELECT half AS assignment, CAST(l_partkey AS VARCHAR) AS key, CAST(sum({_PRICE}) AS BIGINT) AS weight FROM {_HALVED} GROUP BY 1, 2", ("h1", "h2")),
     "halves_part_suppliers": Workload(_halves(_by_part, lambda: F.count_distinct("l_suppkey")), f"SELECT half AS assignment, CAST(l_partkey AS VARCHAR) AS key, count(DISTINCT l_suppkey) AS weight FROM {_HALVED} GROUP BY 1, 2", ("h1", "h2")),
+    "halves_brand_gross": Workload(_halves(_by_supplier_and_brand, lambda: F.sum(cents(F.col("l_extendedprice")))), f"SELECT half AS assignment, concat_ws('|', CAST(l_suppkey AS VARCHAR), p_brand) AS key, CAST(sum({_PRICE}) AS BIGINT) AS weight FROM {_HALVED} JOIN part ON p_partkey = l_partkey GROUP BY 1, 2", ("h1", "h2")),
     "halves_brand_lines": Workload(_halves(_by_supplier_and_brand, lambda: F.count(F.lit(1))), f"SELECT half AS assignment, concat_ws('|', CAST(l_suppkey AS VARCHAR), p_brand) AS key, count(*) AS weight FROM {_HALVED} JOIN part ON p_partkey = l_partkey GROUP BY 1, 2", ("h1", "h2")),
     "words": Workload(_words, "SELECT a AS assignment, token AS key, count(*) AS weight FROM " + _TOKENS.format("source", "lang = 'en' AND source IN ('src0', 'src1', 'src2', 'src3')") + " GROUP BY 1, 2", ("src0", "src1", "src2", "src3")),
     "pairs": Workload(_pairs, _wide_sql(["gross", "lines", "uniform"], f"SELECT concat_ws('|', CAST(l_partkey AS VARCHAR), CAST(l_suppkey AS VARCHAR)) AS key, sum({_PRICE}) AS gross, count(*) AS lines, 1 AS uniform FROM lineitem GROUP BY 1"), ("gross", "lines", "uniform")),

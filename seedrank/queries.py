@@ -49,7 +49,7 @@ def ranked_long(spark, sf, workload, names, family="ipps", joint="shared", runs=
     return R.rank_long(long_weights(spark, sf, workload, names), family, joint, runs=runs)
 
 
-def bottom(spark, sf, workload, names, k, family="ipps", joint="shared", runs=1, early=False) -> S.Sketch:
+def bottom(spark, sf, workload, names, k, family="ipps", joint="shared", runs=1, early=None) -> S.Sketch:
     return S.bottom_k(ranked_long(spark, sf, workload, names, family, joint, runs), k, family, joint, early=early)
 
 
@@ -88,10 +88,16 @@ def _seed(spark, sf):
     return keys.withColumn("seed", key_seed(F.col("key"), "v1#0"))
 
 
-@query("q_consistency_check", "SELECT CAST('shared' AS VARCHAR) AS joint, CAST(0 AS BIGINT) AS bad UNION ALL SELECT 'inddiff', 0")
+def _inconsistent_sql(joint: str, family: str) -> str:
+    """Keys of which a heavier assignment ranks after a lighter one."""
+    worse = "a.run = b.run AND a.key = b.key AND a.weight > b.weight AND a.rank > b.rank"
+    return O.chain(O.ranked("part_months", MONTHS6, family, joint), select=f"SELECT CAST('{joint}' AS VARCHAR) AS joint, count(DISTINCT a.key) AS bad FROM ranked a JOIN ranked b ON {worse}")
+
+
+@query("q_consistency_check", " UNION ALL ".join(f"SELECT * FROM ({_inconsistent_sql(j, f)})" for j, f in (("shared", "ipps"), ("inddiff", "exp"), ("independent", "ipps"))))
 def _consistency(spark, sf):
     out = None
-    for joint, family in (("shared", "ipps"), ("inddiff", "exp")):
+    for joint, family in (("shared", "ipps"), ("inddiff", "exp"), ("independent", "ipps")):
         rows = R.inconsistent_keys(ranked_long(spark, sf, "part_months", MONTHS6, family, joint))
         one = rows.agg(F.count(F.lit(1)).alias("bad")).select(F.lit(joint).alias("joint"), "bad")
         out = one if out is None else out.unionByName(one)
@@ -289,6 +295,23 @@ query("q_sset_poisson", O.chain(O.ranked("words", WORDS), O.ipps_tau(200), O.poi
 query("q_lset_poisson", O.chain(O.ranked("words", WORDS), O.ipps_tau(200), O.poisson(), O.dispersed_cells(WORDS), O.l_set(4, 4, "ipps", "shared"), select=O.ROWS))(lambda spark, sf: rounded(E.minimum(poisson_words(spark, sf), WORDS)))
 
 
+_POISSON = (O.ranked("words", WORDS), O.ipps_tau(200), O.poisson(), O.dispersed_cells(WORDS))
+query("q_sset_poisson_min", O.chain(*_POISSON, O.s_set(4, "ipps", "shared"), select=O.ROWS))(lambda spark, sf: rounded(E.minimum(poisson_words(spark, sf), WORDS, "s")))
+for _ell in (2, 3):
+    query(f"q_sset_poisson_{_ell}", O.chain(*_POISSON, O.s_set(_ell, "ipps", "shared"), select=O.ROWS))(lambda spark, sf, n=_ell: rounded(E.s_set(poisson_words(spark, sf), WORDS, n)))
+    query(f"q_lset_poisson_{_ell}", O.chain(*_POISSON, O.l_set(_ell, 4, "ipps", "shared"), select=O.ROWS))(lambda spark, sf, n=_ell: rounded(E.l_set(poisson_words(spark, sf), WORDS, n)))
+
+
+def _l1_poisson_sql(kind: str) -> str:
+    low = O.s_set(4, "ipps", "shared") if kind == "s" else O.l_set(4, 4, "ipps", "shared")
+    low = low.replace("adj AS", "low AS").replace("g AS (", "gl AS (").replace("FROM g ", "FROM gl ")
+    return O.chain(*_POISSON, O.s_set(1, "ipps", "shared").replace("adj AS", "high AS"), low, select="SELECT run, key, round(sum(adjusted), 3) + 0.0 AS adjusted FROM (SELECT run, key, adjusted FROM high UNION ALL SELECT run, key, -adjusted FROM low) GROUP BY 1, 2")
+
+
+for _kind in ("s", "l"):
+    query(f"q_l1_poisson_{_kind}", _l1_poisson_sql(_kind))(lambda spark, sf, kind=_kind: E.l1(poisson_words(spark, sf), WORDS, kind).withColumn("adjusted", F.round("adjusted", 3) + F.lit(0.0)))
+
+
 def _l1_sql(workload, names, k, kind, family="ipps") -> str:
     low = O.s_set(len(names), family, "shared") if kind == "s" else O.l_set(len(names), len(names), family, "shared")
     low = low.replace("adj AS", "low AS").replace("g AS (", "gl AS (").replace("FROM g ", "FROM gl ")
@@ -316,12 +339,16 @@ query("q_jaccard_kmins", O.chain(_kmins_draws(MONTHS2, 100, "inddiff"), select="
 )
 
 
-@query("q_no_estimator_guard", "SELECT CAST('refused' AS VARCHAR) AS outcome, CAST(3 AS BIGINT) AS cases")
+@query("q_no_estimator_guard", "SELECT CAST('refused' AS VARCHAR) AS outcome, CAST(5 AS BIGINT) AS cases")
 def _guard(spark, sf):
     """Quantities that have no non-negative unbiased estimator are refused when the plan is made."""
-    sketch = bottom(spark, sf, "part_months", MONTHS2, 50, joint="independent")
+    sketch, shared = (bottom(spark, sf, "part_months", MONTHS2, 50, joint=j) for j in ("independent", "shared"))
     refused = 0
-    for attempt in (lambda: E.maximum(sketch, MONTHS2), lambda: E.l_set(S.drop_seeds(sketch), MONTHS2, 1), lambda: R.check_design("ipps", "inddiff")):
+    attempts = (
+        lambda: E.maximum(sketch, MONTHS2), lambda: E.l_set(S.drop_seeds(sketch), MONTHS2, 1), lambda: R.check_design("ipps", "inddiff"),
+        lambda: E.s_set(shared, MONTHS2, 1, E.f_l1), lambda: E.l_set(shared, MONTHS2, 2, E.f_l1),
+    )
+    for attempt in attempts:
         try:
             attempt()
         except ValueError:
@@ -429,7 +456,15 @@ query(
     "WITH w AS (SELECT key, max(weight) AS weight FROM (" + WORKLOADS["part_months"].sql + f") WHERE assignment IN {O._in(MONTHS3)} GROUP BY 1), ranked AS (SELECT 0 AS run, 'f' AS assignment, key, CAST(weight AS DOUBLE) AS weight, {O.uniform(chr(39) + 'v1#0' + chr(39), 'key')} / weight AS rank FROM w),\n"
     + O.bottom_k(150) + f",\nadj AS (SELECT e.run, key, weight AS f, {O.cdf('ipps', 'weight', 'rk1')} AS p, weight / {O.cdf('ipps', 'weight', 'rk1')} AS adjusted FROM ent e, meta WHERE member)\n" + O.ROWS,
 )(lambda spark, sf: rounded(B.primary_function(wide_weights(spark, sf, "part_months", MONTHS3), E.f_max, 150)))
-query("q_sample_builtin")(lambda spark, sf: long_weights(spark, sf, "part_months", MONTHS2).sampleBy("assignment", {"m01": 0.1, "m02": 0.1}, seed=7).groupBy("assignment").agg((F.sum("weight") * 10).alias("estimate")))
+
+
+@query("q_sample_uniform", f"SELECT assignment, CAST(10 * sum(weight) AS BIGINT) AS estimate FROM (SELECT * FROM ({WORKLOADS['part_months'].sql}) WHERE assignment IN {O._in(MONTHS2)}) WHERE {O.uniform(chr(39) + 'uniform' + chr(39), 'key')} < 0.1 GROUP BY 1")
+def _sample_uniform(spark, sf):
+    """A tenth of all keys by hash, whatever their weights: the same rows in any partitioning."""
+    from seedrank.functions.seeds import uniform
+
+    rows = long_weights(spark, sf, "part_months", MONTHS2).where(uniform("uniform", F.col("key")) < 0.1)
+    return rows.groupBy("assignment").agg((F.sum("weight") * 10).alias("estimate"))
 
 # ---------------------------------------------------------------- accuracy and size
 
@@ -484,9 +519,69 @@ def _sigma(spark, sf):
     return M.sigma_v(E.maximum(sketch, MONTHS2), exact, runs).withColumn("bound", (k - 2) * F.col("nsv"))
 
 
-@query("q_bounds", "SELECT CAST(0 AS BIGINT) AS plain_above_inclusive, CAST(0 AS BIGINT) AS generic_above_inclusive, CAST(0 AS BIGINT) AS s_above_l, CAST(0 AS BIGINT) AS min_above_max, CAST(0 AS BIGINT) AS empty")
+_BOUND_NAMES, _BOUND_K = MONTHS3, 100
+_LESS = " + 1e-9 * (1 + abs({0}))"
+_BOUND_SQL = O.chain(
+    O.ranked("part_months", _BOUND_NAMES, runs=3), O.bottom_k(_BOUND_K), O.full_cells(_BOUND_NAMES),
+    f"tops AS (SELECT run, key, max(weight) AS weight, min(rank) AS rank FROM ranked GROUP BY 1, 2)",
+    f"tp AS (SELECT *, row_number() OVER (PARTITION BY run ORDER BY rank, key) AS pos FROM tops)",
+    f"tt AS (SELECT run, max(CASE WHEN pos = {_BOUND_K} THEN rank END) AS a, max(CASE WHEN pos = {_BOUND_K} + 1 THEN rank END) AS b FROM tp GROUP BY 1)",
+    f"g AS (SELECT run, key, max(w) AS h, min(w) AS l, min(theta) AS mt, min({O.cdf('ipps', 'w', 'theta')}) AS pl, max({O.cdf('ipps', 'w', 'theta')}) AS incl, {O.cdf('ipps', 'max(w)', 'min(theta)')} AS ph, {O.cdf('ipps', 'min(w)', 'min(theta)')} AS ps FROM o GROUP BY 1, 2)",
+    f"x AS (SELECT g.*, {O.cdf('ipps', 'h', 'CASE WHEN p.rank < b THEN b ELSE a END')} AS pt FROM g JOIN tp p USING (run, key) JOIN tt USING (run))",
+    "v AS (SELECT *, h * h * (1 / ph - 1) AS vh, CASE WHEN l > 0 THEN l * l * (1 / pl - 1) ELSE 0 END AS vl, h * h * (1 / pt - 1) AS vt, h * h * (1 / incl - 1) AS vc, (h - l) * (h - l) * (1 / incl - 1) AS vr, CASE WHEN l > 0 THEN pl ELSE 0 END AS bo, h / ph AS ah, CASE WHEN l > 0 THEN l / pl ELSE 0 END AS al FROM x)",
+    "y AS (SELECT *, bo * (ah - al) * (ah - al) + (ph - bo) * ah * ah - (h - l) * (h - l) AS vd FROM v)",
+    select=(
+        "SELECT (SELECT count(*) FROM (SELECT run, key, max(" + O.cdf("ipps", "w", "theta") + ") AS p FROM o GROUP BY 1, 2) a JOIN y USING (run, key) WHERE a.p > incl + 1e-12) AS plain_above_inclusive, "
+        "count(*) FILTER (WHERE ph > incl + 1e-12) AS generic_above_inclusive, count(*) FILTER (WHERE ps > pl + 1e-12) AS s_above_l, count(*) FILTER (WHERE ps > ph + 1e-12) AS min_above_max, "
+        f"count(*) FILTER (WHERE vh > vt{_LESS.format('vt')}) AS max_above_primary, count(*) FILTER (WHERE vc > vh{_LESS.format('vh')}) AS colocated_above_dispersed, "
+        f"count(*) FILTER (WHERE vr > vc{_LESS.format('vc')}) AS colocated_l1_above_max, count(*) FILTER (WHERE vd > vh + vl{_LESS.format('vh + vl')}) AS l1_above_sum, "
+        "count(*) FILTER (WHERE al > ah * (1 + 1e-9)) AS l1_negative FROM y"
+    ),
+)
+
+
+@query("q_bounds", _BOUND_SQL)
 def _bounds(spark, sf):
-    return M.bound_violations(full(spark, sf, "part_months", MONTHS3, 100, runs=3)[0], "ipps")
+    """Keys and runs that break what theory says of probabilities and variances: none."""
+    rows, _ = full(spark, sf, "part_months", _BOUND_NAMES, _BOUND_K, runs=3)
+    primary = S.bottom_k(R.min_rank(ranked_long(spark, sf, "part_months", _BOUND_NAMES, runs=3), _BOUND_NAMES).withColumn("assignment", F.lit("max")).withColumn("seed", F.lit(None).cast("double")), _BOUND_K)
+    return M.bound_violations(rows, "ipps", primary.meta)
+
+
+# Poisson samples of the same expected size beside bottom-k ones, by the sum of variances of one assignment
+_SAME_KS = (25, 50, 100, 200, 400)
+
+
+def _same_size_sql(k: int) -> str:
+    pois = O.chain(O.ranked("words", WORDS[:1]), O.ipps_tau(k), select=f"SELECT sum(weight * weight * (1 / {O.cdf('ipps', 'weight', 'tau')} - 1)) AS v FROM w JOIN tau USING (assignment) WHERE weight > 0")
+    return f"SELECT CAST({k} AS INTEGER) AS k, round(log10(a.v) - log10(b.v0), 5) AS log_ratio FROM ({pois}) a, (SELECT v0 FROM cs WHERE k = {k}) b"
+
+
+@query("q_d9_poisson_over_bottomk", O.chain(*O.sweep("c", "words", WORDS[:1], _SAME_KS), O.sweep_sums("c", WORDS[:1], [("plain_0", WORDS[:1])]), select="\nUNION ALL ".join(_same_size_sql(k) for k in _SAME_KS)))
+def _same_size(spark, sf):
+    from seedrank.operators.sweeps import Sweep, flat
+    from seedrank.sources.store import staged
+
+    weights = staged(flat(long_weights(spark, sf, "words", WORDS[:1]), WORDS[:1]))
+    long = weights.select(F.lit(WORDS[0]).alias("assignment"), "key", F.col("w0").alias("weight"))
+    own = Sweep(weights, WORDS[:1], list(_SAME_KS)).sums([("plain_0", WORDS[:1])])
+    tau = None
+    for k in _SAME_KS:
+        one = S.ipps_tau(long, k).select(F.lit(k).alias("k"), "tau")
+        tau = one if tau is None else tau.unionByName(one)
+    pois = weights.crossJoin(F.broadcast(tau)).groupBy("k").agg(F.sum(M.key_variance(F.col("w0"), R.cdf("ipps", F.col("w0"), F.col("tau")))).alias("v"))
+    return pois.join(F.broadcast(own), "k").select("k", F.round(F.log10("v") - F.log10("v0"), 5).alias("log_ratio"))
+
+
+# functions outside the template: their parts are estimated by themselves
+query(
+    "q_linear_combination",
+    O.chain(O.ranked("part_months", MONTHS2), O.bottom_k(200), O.dispersed_cells(MONTHS2), O.s_set(1, "ipps", "shared").replace("adj AS", "high AS"), O.l_set(2, 2, "ipps", "shared").replace("adj AS", "low AS").replace("g AS (", "gl AS (").replace("FROM g ", "FROM gl "),
+            select="SELECT round(2 * (SELECT sum(adjusted) FROM high) + 3 * (SELECT sum(adjusted) FROM low), 3) AS estimate"),
+)(lambda spark, sf: E.linear_combination([(2, E.maximum(s := bottom(spark, sf, "part_months", MONTHS2, 200), MONTHS2)), (3, E.minimum(s, MONTHS2))]).agg(F.round(F.sum("adjusted"), 3).alias("estimate")))
+query("q_support_check", f"SELECT count(*) AS keys FROM (SELECT key, max(weight) AS w FROM ({WORKLOADS['parts'].sql}) GROUP BY 1) WHERE CAST(key AS BIGINT) > 0 AND w <= 0")(
+    lambda spark, sf: spark.range(1).select(F.lit(E.check_support(wide_weights(spark, sf, "parts"), F.col("key").cast("bigint"))).cast("bigint").alias("keys"))
+)
 
 
 # the experiments, applications and the relational and streaming surface register theirs as well

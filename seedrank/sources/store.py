@@ -1,10 +1,14 @@
-"""Saving and loading samples, and their exchange as JSON or CSV."""
+"""Saving and loading samples, their exchange as JSON or CSV, and intermediate tables."""
 
 from __future__ import annotations
 
+import atexit
 import json
+import shutil
+import tempfile
+import uuid
 
-from pyspark.sql import SparkSession
+from pyspark.sql import DataFrame, SparkSession
 
 from seedrank.operators.sketch import Sketch
 
@@ -32,3 +36,37 @@ def export(sketch: Sketch, path: str, kind: str = "json") -> None:
     for name, rows in (("entries", sketch.entries), ("meta", sketch.meta)):
         writer = rows.write.mode("overwrite")
         (writer.json if kind == "json" else lambda p: writer.csv(p, header=True))(f"{path}/{name}")
+
+
+def import_(spark: SparkSession, path: str, design: Sketch, kind: str = "json") -> Sketch:
+    """What ``export`` wrote, read with the columns of ``design``, a sketch of the same shape."""
+    from dataclasses import replace
+
+    from pyspark.sql import functions as F
+
+    def rows(name: str, like: DataFrame) -> DataFrame:
+        reader = spark.read.schema(", ".join(f"`{c}` string" for c in like.columns))
+        found = (reader.json if kind == "json" else lambda p: reader.csv(p, header=True))(f"{path}/{name}")
+        return found.select(*[F.col(f"`{f.name}`").cast(f.dataType).alias(f.name) for f in like.schema])
+
+    return replace(design, entries=rows("entries", design.entries), meta=rows("meta", design.meta))
+
+
+def new_folder(spark: SparkSession, kind: str) -> str:
+    """A new folder where all executors can write: beside the checkpoints, or else the warehouse, of the session.
+
+    Only a session of a single process without a checkpoint folder gets a temporary one.
+    """
+    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
+    master = spark.sparkContext.master
+    if not base and master.startswith("local") and not master.startswith("local-cluster"):
+        base = tempfile.mkdtemp(prefix="samples-")
+        atexit.register(shutil.rmtree, base, ignore_errors=True)
+    return f"{(base or spark.conf.get('spark.sql.warehouse.dir')).rstrip('/')}/{kind}/{uuid.uuid4().hex}"
+
+
+def staged(rows: DataFrame) -> DataFrame:
+    """``rows`` written once and read from there, for plans that need them more than once."""
+    path = new_folder(rows.sparkSession, "staged")
+    rows.write.parquet(path)
+    return rows.sparkSession.read.schema(rows.schema).parquet(path)

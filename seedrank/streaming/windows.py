@@ -2,31 +2,48 @@
 
 Ranks need the final weight of a key, so sums come first and leave the stream once the watermark has
 passed their window.  Seeds are hashes of keys; windows of different streams are coordinated all the same.
+A replay of a bounded table ends with an event far in the future, so that the stream itself closes every
+window.  Rows that come after the watermark has passed are dropped, and counted.
 """
 
 from __future__ import annotations
 
-import atexit
-import shutil
-import tempfile
-import uuid
 from collections.abc import Callable
+from dataclasses import dataclass
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from seedrank.functions import ranks as R
 from seedrank.operators import sketch as S
+from seedrank.sources.store import new_folder
 from seedrank.sources.tables import cents
 
+#: A time after all events, at which a bounded replay ends.
+END_OF_TIME = "9000-01-01 00:00:00"
 
-def event_stream(spark: SparkSession, path: str, glob: str = "events.parquet", delay: str = "1 hour") -> DataFrame:
-    """Events with a watermark.  Times without a zone are read as UTC, since a watermark needs instants."""
+
+def event_stream(spark: SparkSession, path: str, glob: str = "events.parquet", delay: str = "1 hour", last: str | None = None, per_batch: int | None = None) -> DataFrame:
+    """Events with a watermark.  Times without a zone are read as UTC, since a watermark needs instants.
+
+    ``last``: a folder with further events, such as ``closing_event`` writes; ``per_batch``: files that a batch takes.
+    """
     schema = spark.read.option("pathGlobFilter", glob).parquet(path).schema
-    rows = spark.readStream.schema(schema).option("pathGlobFilter", glob).parquet(path)
+    reader = spark.readStream.schema(schema)
+    rows = (reader if per_batch is None else reader.option("maxFilesPerTrigger", per_batch)).option("pathGlobFilter", glob).parquet(path)
+    if last is not None:
+        rows = rows.unionByName(spark.readStream.schema(schema).parquet(last))
     return rows.withColumn("at", F.col("ts").cast("timestamp")).withWatermark("at", delay)
 
 
+def closing_event(spark: SparkSession, path: str, folder: str, glob: str = "events.parquet") -> str:
+    """A folder with one event at the end of time: the watermark that follows it closes all windows but its own."""
+    schema = spark.read.option("pathGlobFilter", glob).parquet(path).schema
+    row = spark.range(1).select(*[(F.lit(END_OF_TIME) if f.name == "ts" else F.lit(None)).cast(f.dataType).alias(f.name) for f in schema])
+    row.write.parquet(f"{folder}/closing")
+    return f"{folder}/closing"
+
+
 def without_repeats(events: DataFrame) -> DataFrame:
     return events.dropDuplicatesWithinWatermark(["event_id"])
 
@@ -46,13 +63,23 @@ def session_weights(events: DataFrame, gap: str = "6 hours") -> DataFrame:
 
 def with_attributes(weights: DataFrame, static: DataFrame) -> DataFrame:
     """A stream joined with a static table of attributes by key."""
-    return weights.join(F.broadcast(static), "key", "left")
+    return weights.join(static, "key", "left")
+
+
+@dataclass(frozen=True)
+class Replay:
+    """What a finished stream has read, and how many rows it dropped because they came too late."""
 
+    rows: int
+    late: int
 
-def run_to_end(stream: DataFrame, each: Callable[[DataFrame, int], None], checkpoint: str) -> None:
+
+def run_to_end(stream: DataFrame, each: Callable[[DataFrame, int], None], checkpoint: str) -> Replay:
     """Everything that is there now, in batches, and then stop; ``each`` gets a batch once (repeats have its number)."""
     query = stream.writeStream.outputMode("append").foreachBatch(each).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
     query.awaitTermination()
+    done = query.recentProgress
+    return Replay(sum(p["numInputRows"] for p in done), sum(op.get("numRowsDroppedByWatermark", 0) for p in done for op in p["stateOperators"]))
 
 
 class SketchSink:
@@ -81,60 +108,41 @@ class TableSink:
         batch.write.mode("overwrite").parquet(f"{self.path}/batch={number}")
 
 
-def _folder(spark: SparkSession) -> str:
-    """A new folder where all executors can write: beside the checkpoints, or else the warehouse, of the session.
+def _replayed(spark: SparkSession, weights: Callable[[DataFrame], DataFrame], sf_dir: str, sink, folder: str, where=None) -> None:
+    """Run the events table through the stream to its end; nothing of it is late."""
+    events = event_stream(spark, sf_dir, delay="0 seconds", last=closing_event(spark, sf_dir, folder))
+    if where is not None:
+        events = events.where(where | (F.col("at") >= F.lit(END_OF_TIME).cast("timestamp")))
+    run_to_end(weights(events), sink, f"{folder}/checkpoint")
 
-    Only a session of a single process without a checkpoint folder gets a temporary one.
-    """
-    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
-    master = spark.sparkContext.master
-    if not base and master.startswith("local") and not master.startswith("local-cluster"):
-        base = tempfile.mkdtemp(prefix="streams-")
-        atexit.register(shutil.rmtree, base, ignore_errors=True)
-    return f"{(base or spark.conf.get('spark.sql.warehouse.dir')).rstrip('/')}/streams/{uuid.uuid4().hex}"
 
-
-def _closed(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """A replay of the events table in which every window closes: nothing is late, and none waits for more."""
-    return event_stream(spark, sf_dir, delay="0 seconds")
-
-
-def _final(spark: SparkSession, weights: Callable[[DataFrame], DataFrame], sf_dir: str, sink, folder: str) -> None:
-    """Run the stream; the windows still open when its input ends are summed from the same rows in one batch."""
-    run_to_end(weights(_closed(spark, sf_dir)), sink, f"{folder}/checkpoint")
-
-
-def _with_rest(spark: SparkSession, sf_dir: str, done: DataFrame, weights: Callable[[DataFrame], DataFrame]) -> DataFrame:
-    """Emitted windows, and those that a bounded replay leaves open."""
-    whole = weights(spark.read.option("pathGlobFilter", "events.parquet").parquet(sf_dir).withColumn("at", F.col("ts").cast("timestamp")))
-    closed = done.select("assignment").distinct()
-    return done.unionByName(whole.join(F.broadcast(closed), "assignment", "left_anti"))
-
-
-def _read(spark: SparkSession, folder: str) -> DataFrame:
-    return spark.read.schema("assignment string, key string, weight bigint").parquet(f"{folder}/rows").select("assignment", "key", "weight")
+def _read(spark: SparkSession, folder: str, schema: str = "assignment string, key string, weight bigint") -> DataFrame:
+    return spark.read.schema(schema).parquet(f"{folder}/rows").select(*[c.split()[0] for c in schema.split(", ")])
 
 
 def replay_windows(spark: SparkSession, sf_dir: str, length: str = "1 day", slide: str | None = None) -> DataFrame:
-    folder, weights = _folder(spark), lambda e: window_weights(e, length, slide)
-    _final(spark, weights, sf_dir, TableSink(f"{folder}/rows"), folder)
-    return _with_rest(spark, sf_dir, _read(spark, folder), weights).select(F.col("assignment").alias("day"), "key", "weight")
+    folder = new_folder(spark, "streams")
+    _replayed(spark, lambda e: window_weights(e, length, slide), sf_dir, TableSink(f"{folder}/rows"), folder)
+    return _read(spark, folder).select(F.col("assignment").alias("day"), "key", "weight")
 
 
 def replay_sessions(spark: SparkSession, sf_dir: str, gap: str = "6 hours") -> DataFrame:
-    folder, weights = _folder(spark), lambda e: session_weights(e, gap)
-    _final(spark, weights, sf_dir, TableSink(f"{folder}/rows"), folder)
-    whole = weights(spark.read.option("pathGlobFilter", "events.parquet").parquet(sf_dir).withColumn("at", F.col("ts").cast("timestamp")))
-    done = _read(spark, folder)
-    return done.unionByName(whole.join(done.select("assignment", "key"), ["assignment", "key"], "left_anti"))
+    folder = new_folder(spark, "streams")
+    _replayed(spark, lambda e: session_weights(e, gap), sf_dir, TableSink(f"{folder}/rows"), folder)
+    return _read(spark, folder)
+
+
+def replay_with_attributes(spark: SparkSession, sf_dir: str, static: DataFrame) -> DataFrame:
+    """Daily sums with the columns of a static table by key, joined inside the stream."""
+    folder = new_folder(spark, "streams")
+    _replayed(spark, lambda e: with_attributes(window_weights(e), static), sf_dir, TableSink(f"{folder}/rows"), folder)
+    more = "".join(f", {f.name} {f.dataType.simpleString()}" for f in static.schema if f.name != "key")
+    return _read(spark, folder, "assignment string, key string, weight bigint" + more)
 
 
-def replay_sketch(spark: SparkSession, sf_dir: str, k: int) -> S.Sketch:
-    folder = _folder(spark)
+def replay_sketch(spark: SparkSession, sf_dir: str, k: int, where=None) -> S.Sketch:
+    """Samples of the days; ``where`` keeps to some events, as a stream of its own would have them."""
+    folder = new_folder(spark, "streams")
     sink = SketchSink(spark, f"{folder}/sketch", k)
-    _final(spark, window_weights, sf_dir, sink, folder)
-    done = sink.sketch()
-    closed = done.meta.select("assignment").distinct()
-    whole = window_weights(spark.read.option("pathGlobFilter", "events.parquet").parquet(sf_dir).withColumn("at", F.col("ts").cast("timestamp")))
-    rest = S.bottom_k(R.rank_long(whole.join(F.broadcast(closed), "assignment", "left_anti")), k)
-    return S.combine(done, rest)
+    _replayed(spark, window_weights, sf_dir, sink, folder, where)
+    return sink.sketch()

@@ -143,6 +143,10 @@ def test_store_round_trip(spark, tmp_path):
     back = store.load(spark, str(tmp_path / "s"), "one")
     assert back.design() == sketch.design() and back.k == 5
     assert E.total(E.l1(back, ["a", "b"])).first() == E.total(E.l1(sketch, ["a", "b"])).first()
+    for kind in ("json", "csv"):
+        store.export(sketch, str(tmp_path / kind), kind)
+        read = store.import_(spark, str(tmp_path / kind), sketch, kind)
+        assert sorted(map(tuple, read.entries.collect())) == sorted(map(tuple, sketch.entries.collect())) and read.meta.schema == sketch.meta.schema
     store.export(sketch, str(tmp_path / "text"))
     assert spark.read.json(str(tmp_path / "text" / "entries")).count() == 12
 

@@ -31,6 +31,43 @@ def test_estimates_read_the_data_once_and_join_nothing(spark, sf):
     assert "Python" not in text and "Pandas" not in text and "Arrow" not in text
 
 
+@pytest.mark.parametrize("k", [200, 2000])
+def test_no_task_sorts_a_whole_assignment(spark, sf, k):
+    """Up to the limit of Spark's pruning by the window limit, beyond it by parts of each assignment."""
+    from seedrank.functions.ranks import rank_long
+    from seedrank.operators import sketch as S
+    from seedrank.plans.workloads import long_weights
+
+    weights = long_weights(spark, sf, "part_months")
+    for rows in (S.bottom_k(rank_long(weights), k).entries, S.ipps_tau(weights, k), S.fixed_distinct(rank_long(weights), k // 4, 4).entries):
+        text = plan(rows)
+        assert ("WindowGroupLimit" in text) if k < 1000 else ("part_" in text and "WindowGroupLimit" not in text)
+
+
+@pytest.mark.parametrize("early", [None, False, True])
+def test_large_samples_are_those_of_a_sort(spark, early):
+    from seedrank.functions.ranks import rank_long
+    from seedrank.operators.sketch import bottom_k
+
+    rows = spark.range(6000).selectExpr("CASE WHEN id % 3 = 0 THEN 'a' ELSE 'b' END AS assignment", "CAST(id AS STRING) AS key", "CAST(1 + id % 7 AS DOUBLE) AS weight")
+    ranked = rank_long(rows)
+    got = {(r["assignment"], r["key"], r["pos"]) for r in bottom_k(ranked, 1500, early=early).entries.collect()}
+    frame = ranked.toPandas().sort_values(["assignment", "rank", "key"])
+    frame["pos"] = frame.groupby("assignment").cumcount() + 1
+    assert got == {(r.assignment, r.key, r.pos) for r in frame[frame.pos <= 1501].itertuples()}
+
+
+def test_an_experiment_reads_its_data_once(spark, sf):
+    from seedrank.experiments import weights_of
+    from seedrank.operators.sweeps import Sweep
+    from seedrank.plans.workloads import long_weights
+
+    names = ["m01", "m02"]
+    assert plan(long_weights(spark, sf, "part_months", names)).count("lineitem") == plan(long_weights(spark, sf, "part_months", names)).count("Location: InMemoryFileIndex")
+    text = plan(Sweep(weights_of(spark, sf, "part_months", names), names, [10, 50], runs=3).sums([("min_l", names), ("max", names)]))
+    assert "lineitem" not in text and text.count("Location: InMemoryFileIndex") == 1 and "BroadcastHashJoin" in text
+
+
 def test_filters_reach_the_scan(spark, sf):
     from seedrank.plans.workloads import long_weights
 
@@ -53,6 +90,23 @@ def test_stream_of_several_files_equals_the_batch(spark, sf, tmp_path, pieces):
     assert {a for a, _, _ in expected} - {a for a, _, _ in got} <= {max(a for a, _, _ in expected)}
 
 
+def test_late_rows_are_dropped_and_counted(spark, sf, tmp_path):
+    events = spark.read.parquet(f"{sf}/events.parquet")
+    late = events.where(F.dayofmonth("ts") == 2).limit(7)
+    for i, part in enumerate((events.where(F.dayofmonth("ts") >= 20), late, events.where(F.dayofmonth("ts") == 1).limit(3))):
+        part.coalesce(1).write.parquet(str(tmp_path / "in" / f"p={i}"))
+    stream = windows.window_weights(windows.event_stream(spark, str(tmp_path / "in" / "*"), "*.parquet", "1 hour", per_batch=1))
+    done = windows.run_to_end(stream, windows.TableSink(str(tmp_path / "rows")), str(tmp_path / "cp"))
+    assert done.rows == events.where(F.dayofmonth("ts") >= 20).count() + 10 and done.late > 0
+    assert spark.read.parquet(str(tmp_path / "rows")).where("assignment < '2024-01-20'").count() == 0
+
+
+def test_a_replay_closes_every_window_by_itself(spark, sf):
+    events = spark.read.parquet(f"{sf}/events.parquet")
+    got = windows.replay_windows(spark, sf)
+    assert "events.parquet" not in plan(got) and got.count() == events.select(F.to_date("ts"), "user_id").distinct().count()
+
+
 def test_repeated_events_count_once(spark, sf, tmp_path):
     events = spark.read.parquet(f"{sf}/events.parquet").limit(500)
     events.unionByName(events).coalesce(1).write.parquet(str(tmp_path / "in"))

@@ -126,7 +126,8 @@ def test_variances_and_bounds(data):
     ranked = R.rank_wide(wide, runs=RUNS)
     s = S.bottom_k(R.to_long(ranked), K)
     full = E.full_cells(ranked, s.meta, NAMES)
-    assert all(v == 0 for v in M.bound_violations(full, "ipps").first())
+    primary = S.bottom_k(R.min_rank(R.to_long(ranked), NAMES).withColumn("assignment", F.lit("max")).withColumn("seed", F.lit(None).cast("double")), K)
+    assert all(v == 0 for v in M.bound_violations(full, "ipps", primary.meta).first())
     conditional = M.conditional_variance(full, E.f_max, lambda c: E.s_set_p(c, 1, "ipps", "shared")).agg(F.avg("sv")).first()[0]
     exact = wide.sparkSession.createDataFrame([(f"k{i}", float(v)) for i, v in enumerate(t.max(axis=1)) if v > 0], "key string, f double")
     measured = M.sigma_v(E.maximum(sketch(long), NAMES), exact, RUNS).first()
