@@ -318,6 +318,7 @@ def test_a_loose_family_has_the_classes_of_brute_force(spark):
 def test_unlike_texts_that_share_a_passage_stay_apart(spark, monkeypatch):
     """Buckets of many unlike texts, cut by further sketches and compared in several tiles."""
     monkeypatch.setattr(neardup, "unlike_members", lambda *a, f=neardup.unlike_members: f(*a, tile=40))
+    monkeypatch.setattr(neardup, "partnered", lambda *a, f=neardup.partnered: f(*a, tile=16))
     monkeypatch.setattr(neardup, "unlike_pairs", lambda *a, f=neardup.unlike_pairs: f(*a, tile=16))
     rng = np.random.default_rng(8)
     shared = [f"p{x}" for x in range(60)]
