@@ -8,11 +8,13 @@ import os
 import shutil
 import tempfile
 import uuid
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 from pathlib import Path
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructField, StructType
 
 #: White space of the word rule (code points 20 and 09-0D), as a set of characters and as a regex class.
 SPACE_CHARS = " \t\n\x0b\x0c\r"
@@ -151,6 +153,18 @@ def fresh(docs: DataFrame, *names: str) -> list[str]:
     return out
 
 
+def map_batches(df: DataFrame, run: Callable, schema: StructType) -> DataFrame:
+    """``mapInArrow`` for columns of any names, which it takes by names that are not quoted."""
+    names = [f"c{i}" for i in range(len(schema))]
+
+    def renamed(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in run(batches):
+            yield pa.RecordBatch.from_arrays(batch.columns, names)
+
+    plain = StructType([StructField(n, f.dataType, True) for n, f in zip(names, schema, strict=True)])
+    return df.toDF(*[f"i{i}" for i in range(len(df.columns))]).mapInArrow(renamed, plain).toDF(*schema.names)
+
+
 def same_value(a: Column, b: Column) -> Column:
     """Equal values; null equals null and nothing else."""
     return a.eqNullSafe(b)

@@ -23,8 +23,9 @@ import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import StructType
 
-from seedrank.llm.common import named, ship, table
+from seedrank.llm.common import map_batches, named, ship, table
 
 MAX_N = 3
 #: Bounds of the training sample: labelled texts of each language, those of all languages, and landmarks likewise.
@@ -154,8 +155,8 @@ def identify(docs: DataFrame, model: LanguageModel | None, keep: list[str], text
             yield pa.RecordBatch.from_arrays([*rows.columns[:-1], pa.array(names, pa.string()), pa.array(scores)], [*keep, "lang_pred", "score"])
 
     chosen = docs.select(*[named(c) for c in keep], named(text).alias("_scored"))
-    schema = "".join(f"`{f.name}` {f.dataType.simpleString()}, " for f in chosen.schema[:-1])
-    return chosen.mapInArrow(run, schema + "lang_pred string, score double")
+    schema = StructType(list(chosen.schema)[:-1]).add("lang_pred", "string").add("score", "double")
+    return map_batches(chosen, run, schema)
 
 
 def op2_language(spark, sf_dir: str) -> DataFrame:

@@ -21,8 +21,9 @@ from collections.abc import Iterator
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.types import ArrayType, IntegerType, LongType, StructField, StructType
 
-from seedrank.llm.common import fresh, named, sha256_text, ship, table, text_key, written
+from seedrank.llm.common import fresh, map_batches, named, sha256_text, ship, table, text_key, written
 
 #: Two parts are in one scope if at most so many code points lie between them.
 SCOPE = 256
@@ -49,6 +50,7 @@ NEEDS = {"secret": ("identifier",), "identifier": ("secret",), "endpoint": ("ide
 BASE = KINDS[:3]
 
 _PART = "struct<kind:int,start:long,stop:long>"
+_PARTS = ArrayType(StructType([StructField("kind", IntegerType()), StructField("start", LongType()), StructField("stop", LongType())]))
 
 
 def find_parts(text: str | None) -> list[tuple[int, int, int]]:
@@ -101,8 +103,8 @@ def scan(docs: DataFrame, keep: list[str], text: str = "text") -> DataFrame:
             yield pa.RecordBatch.from_arrays([*batch.columns[:-1], pa.array(found, kind)], [*keep, "parts"])
 
     kept = docs.select(*[named(c) for c in keep], named(text).alias("_scanned"))
-    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in kept.schema[:-1])
-    return kept.mapInArrow(run, (schema + ", " if schema else "") + f"parts array<{_PART}>")
+    schema = StructType(list(kept.schema)[:-1]).add("parts", _PARTS)
+    return map_batches(kept, run, schema)
 
 
 def _role(kind: Column) -> Column:
@@ -177,7 +179,7 @@ def redact(docs: DataFrame, text: str = "text", length: str = "n_chars", mask: s
                 columns[sized] = pa.array([n if t is None else len(t) for t, n in zip(texts, columns[sized].to_pylist(), strict=True)], columns[sized].type)
             yield pa.RecordBatch.from_arrays(columns, batch.schema.names[:-1])
 
-    return joined.mapInArrow(run, docs.schema)
+    return map_batches(joined, run, docs.schema)
 
 
 def _masked(text: str, spans: list[tuple[int, int]], mask: str) -> str:
