@@ -395,7 +395,7 @@ def _stream_static(spark, sf):
 
 
 _TWO_DAYS = ["2024-01-02", "2024-01-03"]
-_TWO_STREAMS = _STREAM_RANKED.replace("FROM (" + _DAILY + ")", "FROM (" + _DAILY + ") WHERE day IN ('2024-01-02', '2024-01-03')")
+_TWO_STREAMS = _STREAM_RANKED.replace("FROM (" + _DAILY + ")", "FROM (" + _DAILY + ") WHERE day IN ('2024-01-02', '2024-01-03')").replace("AS weight, (", "AS weight, CAST(NULL AS DOUBLE) AS seed, (")
 
 
 @query("q_stream_two_windows", O.chain(_TWO_STREAMS, O.bottom_k(20), O.dispersed_cells(_TWO_DAYS), *_MAX_MIN, select="SELECT key, round(sum(a), 3) + 0.0 AS adjusted FROM (SELECT key, adjusted AS a FROM high UNION ALL SELECT key, -adjusted FROM low) GROUP BY 1"))

@@ -94,7 +94,9 @@ class Sweep:
         """run, k, weights, thresholds t0, t1, ... and probabilities e0, e1, ... of every key."""
         m = range(len(self.names))
         rows = self.ranked().join(F.broadcast(self.thresholds()), "run")
-        rows = rows.select("run", "k", *[f"w{i}" for i in m], *[F.when(F.col(f"r{i}") < F.col("hi")[i], F.col("hi")[i]).otherwise(F.col("lo")[i]).alias(f"t{i}") for i in m])
+        # the filter keeps all; its plain evaluation keeps so many columns out of one generated method, which the JVM would not compile
+        lo, hi = F.col("lo"), F.filter("hi", lambda x: x.isNotNull()) if len(self.names) > 3 else F.col("hi")
+        rows = rows.select("run", "k", *[f"w{i}" for i in m], *[F.when(F.col(f"r{i}") < (hi if i == 0 else F.col("hi"))[i], F.col("hi")[i]).otherwise(lo[i]).alias(f"t{i}") for i in m])
         return rows.select("*", *[R.cdf(self.family, F.col(f"w{i}"), F.col(f"t{i}")).alias(f"e{i}") for i in m])
 
     def _measure(self, kind: str, names: list[str]) -> tuple[Column, Column]:
